@@ -189,13 +189,19 @@ def _verify_blocks(members: DataFrame, bags: DataFrame, least: float, block: int
             size = np.array([len(x) for x in bags_], dtype=float)
             common = _common([bags_[i] for i in left], [bags_[i] for i in right])
             alike = common >= least * (size[left][:, None] + size[right][None, :] - common) - 1e-6
-            seen = set()
+            joined = {x: x for x in labels}
+
+            def top(x: bytes) -> bytes:
+                while joined[x] != x:
+                    joined[x] = x = joined[joined[x]]
+                return x
+
             for i, j in zip(*np.nonzero(alike), strict=True):
-                x, y = left[i], right[j]
-                if labels[x] != labels[y] and (ids[x], labels[y]) not in seen:
-                    seen.add((ids[x], labels[y]))
-                    a.append(ids[x])
-                    b.append(ids[y])
+                p, q = top(labels[left[i]]), top(labels[right[j]])
+                if p != q:
+                    joined[p] = q
+                    a.append(ids[left[i]])
+                    b.append(ids[right[j]])
         return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
     return dealt.groupBy("bucket", "o", "m").applyInArrow(run, "a binary, b binary")
