@@ -122,9 +122,9 @@ def divergence_rules(
     keep: tuple[str, ...] = ("doc_id", "lang"),
     most_char_distance: float = 0.32,
     most_word_distance: float = 0.33,
-    most_sum: float = 0.38,
+    most_sum: float = 0.4,
     least_chars: int = 200,
-    least_words: int = 50,
+    least_words: int = 100,
 ) -> DataFrame:
     """`keep`, the base counts, base_failed, char_distance, word_distance and kept.
 

@@ -119,7 +119,7 @@ def features(column: pa.Array, lexicon: np.ndarray, near: int = 4) -> np.ndarray
 class Trees:
     """Boosted regression trees on the logistic loss, from binned features."""
 
-    def __init__(self, rounds: int = 50, depth: int = 3, rate: float = 0.15, bins: int = 48, least: int = 25, shrink: float = 1.0):
+    def __init__(self, rounds: int = 40, depth: int = 3, rate: float = 0.15, bins: int = 32, least: int = 40, shrink: float = 5.0):
         self.rounds, self.depth, self.rate, self.bins, self.least, self.shrink = rounds, depth, rate, bins, least, shrink
         self.trees: list[tuple[list[tuple[int, float]], np.ndarray]] = []
 
@@ -209,8 +209,8 @@ class Detector:
         return np.clip(np.interp(self.trees.margin(features(column, self.lexicon)), *self.knots), 0, 1)
 
 
-def _learned_lexicon(rows: DataFrame, least_docs: int, least_odds: float, most: int) -> np.ndarray:
-    """Hashes of words that come with the label: seen in `least_docs` labelled texts, odds ratio `least_odds`."""
+def _learned_lexicon(rows: DataFrame, least_share: float, least_odds: float, most: int) -> np.ndarray:
+    """Hashes of words that come with the label: in `least_share` of the texts so labelled, odds ratio `least_odds`."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -225,15 +225,15 @@ def _learned_lexicon(rows: DataFrame, least_docs: int, least_odds: float, most:
     bad, good = float(counts[0] or 0), float((counts[1] or 0) - (counts[0] or 0))
     by_word = rows.filter("part < 4").mapInArrow(run, "h long, y double").groupBy("h").agg(F.sum("y").alias("bad"), (F.count("*") - F.sum("y")).alias("good"))
     odds = (F.col("bad") / max(bad, 1)) / ((F.col("good") + 1) / max(good, 1))
-    found = by_word.filter((F.col("bad") >= least_docs) & (odds >= least_odds)).orderBy(F.desc("bad"), "h").limit(most)
+    found = by_word.filter((F.col("bad") >= max(5.0, least_share * bad)) & (odds >= least_odds)).orderBy(F.desc("bad"), "h").limit(most)
     return np.array([r["h"] for r in collect_bounded(found, most, "lexicon")], dtype=np.int64).view(np.uint64)
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", most_labelled: int = MOST_LABELLED, least_docs: int = 8, least_odds: float = 20.0, most_lexicon: int = 5000) -> Detector:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", most_labelled: int = MOST_LABELLED, least_share: float = 0.02, least_odds: float = 50.0, most_lexicon: int = 5000) -> Detector:
     """`most_labelled` bounds the sample and `most_lexicon` the learned words, the most frequent first."""
     rows = cut(training_rows(docs, labels, label, most_labelled))
     model = Detector()
-    model.lexicon = np.union1d(model.lexicon, _learned_lexicon(rows, least_docs, least_odds, most_lexicon))
+    model.lexicon = np.union1d(model.lexicon, _learned_lexicon(rows, least_share, least_odds, most_lexicon))
     shared = docs.sparkSession.sparkContext.broadcast(model.lexicon)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
