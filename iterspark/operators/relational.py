@@ -8,6 +8,11 @@ from pyspark.sql import functions as F
 TOKEN = r"\p{L}+"
 
 
+def micros(ts: str) -> Column:
+    """Microseconds since 1970 of a timestamp with or without a zone."""
+    return F.unix_micros(F.col(ts).cast("timestamp"))
+
+
 def as_of_join(left: DataFrame, right: DataFrame, by: str, ts: str, value: str, name: str) -> DataFrame:
     """Each left row with the last right `value` at or before its time, by union and one window; no row pairs are made."""
     a = left.select("*", F.lit(1).alias("_side"), F.lit(None).cast(right.schema[value].dataType).alias(name))
@@ -28,7 +33,7 @@ def interval_join(points: DataFrame, spans: DataFrame, at: str, start: str, end:
 def sessionise(events: DataFrame, by: str, ts: str, gap_s: int, tie: str) -> DataFrame:
     """Adds session_no: a new session after a pause longer than `gap_s`."""
     w = Window.partitionBy(by).orderBy(ts, tie)
-    pause = F.unix_micros(F.col(ts)) - F.unix_micros(F.lag(ts).over(w))
+    pause = micros(ts) - F.lag(micros(ts)).over(w)
     return events.withColumn("_new", F.when(pause <= gap_s * 1_000_000, 0).otherwise(1)).withColumn("session_no", F.sum("_new").over(w.rowsBetween(Window.unboundedPreceding, 0))).drop("_new")
 
 
