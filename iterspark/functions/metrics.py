@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import threading
-import time
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -91,7 +90,7 @@ class MemorySampler:
         import psutil
 
         me = psutil.Process()
-        while not self._stop.is_set():
+        while True:
             total = 0
             for p in [me, *me.children(recursive=True)]:
                 try:
@@ -99,7 +98,8 @@ class MemorySampler:
                 except psutil.Error:
                     pass
             self.samples.append(total)
-            time.sleep(self.period)
+            if self._stop.wait(self.period):
+                return
 
     def __exit__(self, *_: object) -> None:
         self._stop.set()
