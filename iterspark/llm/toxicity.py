@@ -120,6 +120,7 @@ class Trees:
     """Boosted regression trees on the logistic loss, from binned features."""
 
     def __init__(self, rounds: int = 40, depth: int = 3, rate: float = 0.15, bins: int = 32, least: int = 40, shrink: float = 5.0):
+        """`least`: rows on either side of a split, fewer where the sample is small."""
         self.rounds, self.depth, self.rate, self.bins, self.least, self.shrink = rounds, depth, rate, bins, least, shrink
         self.trees: list[tuple[list[tuple[int, float]], np.ndarray]] = []
 
@@ -127,6 +128,7 @@ class Trees:
         edges = [np.unique(np.quantile(c, np.linspace(0, 1, self.bins + 1)[1:-1])) for c in x.T]
         code = np.column_stack([np.searchsorted(e, c, side="left") for e, c in zip(edges, x.T, strict=True)])
         n_bins = max(len(e) for e in edges) + 1
+        least = min(self.least, max(5, len(y) // 200))
         p0 = float(np.clip(y.mean(), 1e-4, 1 - 1e-4))
         self.start = np.log(p0 / (1 - p0))
         margin = np.full(len(y), self.start)
@@ -143,7 +145,7 @@ class Trees:
                     sg, sh, sn = (np.bincount(at, weights=v, minlength=width * n_bins).reshape(width, n_bins).cumsum(1) for v in (g, h, None))
                     tg, th, tn = sg[:, -1:], sh[:, -1:], sn[:, -1:]
                     gain = sg**2 / (sh + self.shrink) + (tg - sg) ** 2 / (th - sh + self.shrink) - tg**2 / (th + self.shrink)
-                    gain[(sn < self.least) | (tn - sn < self.least)] = 0
+                    gain[(sn < least) | (tn - sn < least)] = 0
                     for k in range(width):
                         b = int(np.argmax(gain[k, : len(edges[f])])) if len(edges[f]) else 0
                         if len(edges[f]) and gain[k, b] > best[k][0] + 1e-9:
