@@ -34,9 +34,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import cut, parked
+from iterspark.llm.common import cut, parked, short_batches
 from iterspark.llm.components import components
-from iterspark.llm.textvec import blocks, counted, mix, shingles, unit, words
+from iterspark.llm.textvec import blocks, counted, mix, shingles, tidy, unit, words
 
 _STEP, _LEVEL = np.uint64(0xD1342543DE82EF95), np.uint64(0x2545F4914F6CDD1D)
 
@@ -202,6 +202,7 @@ def _verify_blocks(members: DataFrame, bags: DataFrame, least: float, block: int
                     joined[p] = q
                     a.append(ids[left[i]])
                     b.append(ids[right[j]])
+        tidy()
         return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
     return dealt.groupBy("bucket", "o", "m").applyInArrow(run, "a binary, b binary")
@@ -240,6 +241,7 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class, the one with the least id; all columns."""
+    short_batches(spark or docs.sparkSession)
     found = near_duplicates(docs)
     keep = found.filter(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("class_id").agg(F.min("text_id").alias("_text_id"))
     keep = keep.select(F.coalesce("class_id", F.lit(0)).alias("_id"), F.col("class_id").isNull().alias("_none"), "_text_id")

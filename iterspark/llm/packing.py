@@ -29,6 +29,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from iterspark.llm.common import short_batches
+
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, cost double"
 
 
@@ -187,4 +189,5 @@ def default_ranks() -> str:
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all documents (last stage)."""
+    short_batches(spark)
     return pack(docs, default_ranks())

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import collect_bounded, cut, fold
+from iterspark.llm.common import collect_bounded, cut, fold, short_batches
 from iterspark.llm.labelled import MOST_LABELLED, training_rows
 from iterspark.llm.textvec import Block, blocks, words
 
@@ -264,6 +264,7 @@ def score_toxicity(docs: DataFrame, model: Detector, *, threshold: float = 0.5)
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, threshold: float = 0.5) -> DataFrame:
     """The documents that are not toxic; all columns."""
+    short_batches(spark)
     model = spark.sparkContext.broadcast(fit_toxicity(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
     at = docs.columns.index("text")
 
