@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import time
 
 from pyspark.sql import SparkSession
 
 from iterspark.functions.metrics import MemorySampler, same_reuse
 from iterspark.plans.session import Policy, Session
+from iterspark.plans.store import Files
+from iterspark.registry import work_folder
 from iterspark.workloads import digit_vectors, entity_clusters, pair_extraction, price_class
 
 WORKLOADS = {
@@ -32,7 +32,7 @@ SUPPORT = {
 def run(spark: SparkSession, sf_dir: str, workload: str, policy: str, iterations: int | None = None, run_no: int = 1, limit_s: float | None = None) -> dict:
     """Records of all iterations, plans, and memory. Stops once `limit_s` is used up (not finished)."""
     make, n = WORKLOADS[workload]
-    root = tempfile.mkdtemp(prefix="iterspark-bench-")
+    root = work_folder(spark)
     out: dict = {"workload": workload, "policy": policy, "run": run_no, "records": [], "states": [], "finished": True}
     try:
         session, began = Session(spark, root, POLICIES[policy]()), time.perf_counter()
@@ -50,7 +50,7 @@ def run(spark: SparkSession, sf_dir: str, workload: str, policy: str, iterations
                 spark.catalog.clearCache()
         out |= {"seconds": sum(r["wall_s"] for r in out["records"]), "peak_bytes": memory.peak, "average_bytes": memory.average}
     finally:
-        shutil.rmtree(root, ignore_errors=True)
+        Files(spark, root).delete("")
     return out
 
 
@@ -65,3 +65,32 @@ def compared(spark: SparkSession, sf_dir: str, workload: str, policies: list[str
         out["storage_share"] = round(a["records"][-1]["store_bytes"] / max(b["records"][-1]["store_bytes"], 1), 3)
         out["same_states"] = all(not same_reuse(x, y) for x, y in zip(a["states"], b["states"], strict=False))
     return out
+
+
+def main(arguments: list[str] | None = None) -> None:
+    """One workload under one policy as one JSON line.
+
+    For cluster scaling, run it once for each number of workers: under `spark-submit
+    --num-executors N`, or here with `--master local[N]`. For data scaling, compare
+    `price_class` with `price_class_10x`.
+    """
+    import argparse
+    import json
+
+    ask = argparse.ArgumentParser(description="Run one workload under one policy.")
+    ask.add_argument("folder")
+    ask.add_argument("--workload", choices=sorted(WORKLOADS), default="price_class")
+    ask.add_argument("--policy", choices=sorted(POLICIES), default="optimal")
+    ask.add_argument("--iterations", type=int)
+    ask.add_argument("--limit", type=float, help="seconds after which no further version is begun")
+    ask.add_argument("--master")
+    a = ask.parse_args(arguments)
+    builder = SparkSession.builder.appName(f"{a.workload} {a.policy}")
+    spark = (builder.master(a.master) if a.master else builder).getOrCreate()
+    got = run(spark, a.folder, a.workload, a.policy, a.iterations, limit_s=a.limit)
+    versions = [round(r["wall_s"], 2) for r in got["records"]]
+    print(json.dumps({k: got[k] for k in ("workload", "policy", "finished", "peak_bytes")} | {"tasks": spark.sparkContext.defaultParallelism, "seconds": round(got["seconds"], 2), "versions": versions}))
+
+
+if __name__ == "__main__":
+    main()

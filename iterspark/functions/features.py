@@ -68,6 +68,11 @@ def scale_sql(column: str, mean: float, deviation: float) -> str:
     return f"(({column} - {mean!r}D) / {deviation or 1.0!r}D)"
 
 
+def min_max_sql(column: str, low: float, high: float) -> str:
+    """0 to 1 over the learned range; 0 where the range is a point."""
+    return f"(({column} - {low!r}D) / {high - low!r}D)" if high > low else "0D"
+
+
 def impute_sql(column: str, mean: float) -> str:
     return f"coalesce({column}, {mean!r}D)"
 
@@ -128,3 +133,21 @@ def random_cosine(df: DataFrame, column: str, dims: int, seed: int | None, name:
         return pd.Series(list(np.cos(np.stack(v.to_numpy()) @ w + b).astype(np.float32)))
 
     return df.withColumn(name, project(column))
+
+
+def tf_idf(tokens: DataFrame, key: str, token: str) -> DataFrame:
+    """(key, token, n, weight): count times ln((documents + 1) / (documents with the token + 1))."""
+    counts = tokens.groupBy(key, token).agg(F.count("*").alias("n"))
+    documents = F.broadcast(tokens.agg(F.count_distinct(key).alias("_documents")))  # one row
+    frequency = counts.groupBy(token).agg(F.count("*").alias("_df"))
+    weight = F.col("n") * F.log((F.col("_documents") + 1) / (F.col("_df") + 1))
+    return counts.join(frequency, token).join(documents).select(key, token, "n", weight.alias("weight"))
+
+
+def principal_shares(df: DataFrame, column: str, k: int) -> list[float]:
+    """Shares of the variance that the first `k` principal components of an array column explain."""
+    from pyspark.ml.feature import PCA
+    from pyspark.ml.functions import array_to_vector
+
+    vectors = df.select(array_to_vector(F.col(column).cast("array<double>")).alias("v"))
+    return [float(x) for x in PCA(k=k, inputCol="v", outputCol="p").fit(vectors).explainedVariance]

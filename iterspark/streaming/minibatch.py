@@ -6,8 +6,10 @@ import json
 import time
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from iterspark.plans.dag import Dag
 from iterspark.plans.keep import OnlineKeep, cumulative_time
@@ -62,28 +64,30 @@ class StreamRunner:
         return self.spark.read.parquet(f"{self.root}/kept/{step}")
 
 
+def _timed(events: DataFrame, late: str | None) -> DataFrame:
+    """With a watermark, which needs a time with a zone: times without one are read in the session's."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late) if late else events
+
+
 def tumbling_counts(events: DataFrame, width: str = "1 hour", late: str | None = None) -> DataFrame:
     """(window_start, event_type, n, total); the same for a stream and for a batch."""
-    if late:
-        events = events.withWatermark("ts", late)
+    events = _timed(events, late)
     out = events.groupBy(F.window("ts", width), "event_type").agg(F.count("*").alias("n"), F.sum("value").alias("total"))
     return out.select(F.col("window.start").alias("window_start"), "event_type", "n", "total")
 
 
 def sliding_counts(events: DataFrame, width: str = "2 hours", step: str = "1 hour", late: str | None = None) -> DataFrame:
-    if late:
-        events = events.withWatermark("ts", late)
+    events = _timed(events, late)
     return events.groupBy(F.window("ts", width, step), "event_type").agg(F.count("*").alias("n")).select(F.col("window.start").alias("window_start"), "event_type", "n")
 
 
 def session_counts(events: DataFrame, gap: str = "30 minutes", late: str | None = None) -> DataFrame:
-    if late:
-        events = events.withWatermark("ts", late)
+    events = _timed(events, late)
     return events.groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n")).select(F.col("session_window.start").alias("session_start"), "user_id", "n")
 
 
 def deduplicated(events: DataFrame, key: str, late: str = "1 hour") -> DataFrame:
-    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
+    return _timed(events, late).dropDuplicatesWithinWatermark([key])
 
 
 def replayed(spark: SparkSession, source: str, folder: str, parts: int) -> DataFrame:
@@ -92,3 +96,39 @@ def replayed(spark: SparkSession, source: str, folder: str, parts: int) -> DataF
     if not Files(spark, folder).exists("_SUCCESS"):
         df.repartitionByRange(parts, "ts").sortWithinPartitions("ts").write.mode("overwrite").parquet(folder)
     return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+
+
+def enriched(events: DataFrame, static: DataFrame, on: str, columns: list[str]) -> DataFrame:
+    """A stream with columns of a batch table, matched by one key."""
+    return events.join(static.select(on, *columns), on)
+
+
+def running_totals(events: DataFrame, by: str, value: str) -> DataFrame:
+    """(by, n, total) so far, after each batch, for the keys that it holds; a custom state for each key.
+
+    The state is two numbers; a key's rows come in chunks, so none is held whole.
+    """
+
+    def fold(key, chunks, state):
+        n, total = state.get if state.exists else (0, 0.0)
+        for c in chunks:
+            n, total = n + len(c), total + float(c[value].sum())
+        state.update((n, total))
+        yield pd.DataFrame({by: [key[0]], "n": [n], "total": [total]})
+
+    schema = f"{by} {events.schema[by].dataType.simpleString()}, n long, total double"
+    return events.select(by, value).groupBy(by).applyInPandasWithState(fold, schema, "n long, total double", "update", GroupStateTimeout.NoTimeout)
+
+
+def drained(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
+    """Runs a stream over all that is there and reads what it gave; `batch` tells rows of one batch from another's.
+
+    A batch that is run again overwrites its own rows. `complete` keeps the last batch's result only.
+    """
+
+    def save(rows: DataFrame, batch_id: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{folder}/rows/batch={0 if mode == 'complete' else batch_id}")
+
+    job = stream.writeStream.outputMode(mode).foreachBatch(save).option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True).start()
+    job.awaitTermination()
+    return stream.sparkSession.read.parquet(f"{folder}/rows")

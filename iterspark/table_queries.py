@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -12,33 +10,12 @@ from iterspark.functions import learners as L
 from iterspark.functions import metrics as M
 from iterspark.operators import relational as R
 from iterspark.plans.session import Policy, Session
+from iterspark.registry import Registry, t, work_folder
 from iterspark.streaming import minibatch
 from iterspark.workloads import digit_vectors, entity_clusters, pair_extraction, price_class, stream_features
 
-Q: dict = {}
-SQL: dict[str, str] = {}
-
-
-def query(sql: str | None = None):
-    def add(fn):
-        Q[fn.__name__] = fn
-        if sql is not None:
-            SQL[fn.__name__] = sql
-        return fn
-
-    return add
-
-
-def t(spark: SparkSession, d: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{d}/{name}.parquet")
-
-
-def work_folder(spark: SparkSession) -> str:
-    """A new folder in the place that driver and executors share."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="iterspark-")
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+_registry = Registry()
+query = _registry.query
 
 
 ROWS_SQL = """rows AS (SELECT CASE WHEN l_orderkey % 10 < 8 THEN 'train' ELSE 'test' END AS split, l_extendedprice AS price, l_quantity AS qty, l_discount AS disc, l_tax AS tax,
@@ -551,8 +528,8 @@ def page_text(spark, d):
 
 
 def queries() -> dict:
-    return dict(Q)
+    return dict(_registry.queries)
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(SQL)
+    return dict(_registry.sql)

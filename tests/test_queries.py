@@ -1,18 +1,22 @@
+import os
+from datetime import timedelta
+
 import duckdb
 import pandas as pd
 import pytest
 
-from iterspark import planner_queries, table_queries
+from iterspark import operator_queries, planner_queries, table_queries
 from iterspark.functions import features as X
 from iterspark.functions import learners as L
 from iterspark.functions import metrics as M
 from iterspark.operators import relational as R
 from iterspark.sources import io
+from iterspark.streaming import minibatch
 from iterspark.workloads.stream_features import stream_features
 
 D = "/root/testdata/sf0.001"
-Q = planner_queries.queries() | table_queries.queries()
-SQL = planner_queries.oracle_sql() | table_queries.oracle_sql()
+Q = planner_queries.queries() | table_queries.queries() | operator_queries.queries()
+SQL = planner_queries.oracle_sql() | table_queries.oracle_sql() | operator_queries.oracle_sql()
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
@@ -112,3 +116,32 @@ def test_random_cosine_with_and_without_seed(spark):
     e = spark.read.parquet(f"{D}/embeddings.parquet").limit(5)
     one = lambda seed: [list(r[0]) for r in X.random_cosine(e, "embedding", 4, seed).select("projected").collect()]
     assert one(1) == one(1) and one(None) != one(None)
+
+
+def test_a_watermark_drops_late_rows(spark, tmp_path):
+    rows = spark.read.parquet(f"{D}/events.parquet")
+    first, last = rows.agg({"ts": "min"}).first()[0], rows.agg({"ts": "max"}).first()[0]
+    folder = tmp_path / "files"
+    folder.mkdir()
+    for i, when in enumerate((last, last, first)):  # the newest row twice: by then a delay of a day shuts out the oldest
+        rows.filter(rows["ts"] == when).coalesce(1).write.parquet(str(tmp_path / f"part{i}"))
+        part = next((tmp_path / f"part{i}").glob("*.parquet")).rename(folder / f"{i}.parquet")
+        os.utime(part, (1_700_000_000 + i, 1_700_000_000 + i))  # a file stream goes by the files' times
+
+    def run(late, out):
+        stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(str(folder))
+        got = minibatch.drained(minibatch.tumbling_counts(stream, late=late), str(tmp_path / out), "update")
+        return got.filter(got["window_start"] < last - timedelta(days=1)).count()
+
+    assert run("1 day", "strict") == 0
+    assert run("3650 days", "lenient") == 1
+
+
+def test_an_experiment_prints_a_line(spark, capsys):
+    import json
+
+    from iterspark import experiments
+
+    experiments.main([D, "--workload", "digit_vectors", "--policy", "keep_none", "--iterations", "2"])
+    line = json.loads(capsys.readouterr().out.strip().splitlines()[-1])
+    assert line["finished"] and len(line["versions"]) == 2
