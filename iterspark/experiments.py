@@ -10,7 +10,7 @@ from iterspark.functions.metrics import MemorySampler, same_reuse
 from iterspark.plans.session import Policy, Session
 from iterspark.plans.store import Files
 from iterspark.registry import work_folder
-from iterspark.workloads import digit_vectors, entity_clusters, pair_extraction, price_class
+from iterspark.workloads import digit_vectors, entity_clusters, library_parity, pair_extraction, price_class
 
 WORKLOADS = {
     "price_class": (lambda d, i: price_class.price_class(f"{d}/lineitem.parquet", i), len(price_class.EDITS)),
@@ -18,6 +18,7 @@ WORKLOADS = {
     "entity_clusters": (lambda d, i: entity_clusters.entity_clusters(d, i), len(entity_clusters.EDITS)),
     "pair_extraction": (lambda d, i: pair_extraction.pair_extraction(d, i), len(pair_extraction.EDITS)),
     "digit_vectors": (lambda d, i: digit_vectors.digit_vectors(d, i), len(digit_vectors.EDITS)),
+    "library_parity": (lambda d, i: library_parity.library_parity(d, i), len(library_parity.EDITS)),
 }
 POLICIES = {"optimal": Policy.optimal, "one_shot": Policy.one_shot, "keep_all": Policy.keep_all, "keep_none": Policy.keep_none, "dump_rerun": Policy.dump_rerun}
 

@@ -75,6 +75,15 @@ def cluster_purity(df: DataFrame, cluster: str, label: str) -> DataFrame:
     return best.agg((F.sum("top") / F.sum("all")).alias("purity"))
 
 
+def within_cluster_cost(df: DataFrame, vector: str, cluster: str, dims: int) -> DataFrame:
+    """(cluster, n, cost): squared distances to the cluster's mean, in one map-side combined pass: the squares less what the mean explains."""
+    places = [F.get(vector, F.lit(i)).cast("double") for i in range(dims)]
+    square = F.aggregate(F.transform(vector, lambda x: x.cast("double") * x.cast("double")), F.lit(0.0), lambda s, x: s + x)
+    sums = df.groupBy(F.col(cluster).alias("cluster")).agg(F.count("*").alias("n"), F.sum(square).alias("_square"), F.array(*[F.sum(x) for x in places]).alias("_sums"))
+    explained = F.aggregate(F.transform("_sums", lambda x: x * x), F.lit(0.0), lambda s, x: s + x) / F.col("n")
+    return sums.select("cluster", "n", F.greatest(F.col("_square") - explained, F.lit(0.0)).alias("cost"))
+
+
 class MemorySampler:
     """Peak and mean resident bytes of this process and all below it, sampled each `period_s`."""
 

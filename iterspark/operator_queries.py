@@ -8,12 +8,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from iterspark.functions import features as X
+from iterspark.functions import metrics as M
 from iterspark.operators import relational as R
-from iterspark.plans import frames, keep
+from iterspark.plans import frames, keep, synthetic
 from iterspark.plans.versions import signatures
 from iterspark.planner_queries import V0, V1, assignments_sql, version_dag, version_sql
 from iterspark.registry import Registry, t, work_folder
 from iterspark.streaming import minibatch
+from iterspark.workloads import library_parity as parity
 
 _registry = Registry()
 query = _registry.query
@@ -269,6 +271,40 @@ def stream_running_totals(spark, d):
     return got.groupBy("user_id").agg(F.max_by(F.struct("n", F.round("total", 3).alias("total")), "batch").alias("s")).select("user_id", "s.n", "s.total")
 
 
+# measures and model selection
+
+_CUTS = [0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8]
+_PARITY_SQL = f"""WITH l AS (SELECT doc_id, max(quality) AS label FROM labels WHERE quality IS NOT NULL GROUP BY 1),
+w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+r AS (SELECT CASE WHEN len(w) > 0 THEN len(list_distinct(w)) / len(w) ELSE 0 END AS share, label FROM w JOIN l USING (doc_id) WHERE doc_id % 5 = 1)
+SELECT CAST(cut AS DOUBLE) AS cut, count(*) AS n, sum(CASE WHEN (share >= CAST(cut AS DOUBLE)) = (label = 1) THEN 1 ELSE 0 END)::BIGINT AS hits FROM r, (VALUES {", ".join(f"({c})" for c in _CUTS)}) c(cut) GROUP BY 1"""
+
+
+@query(_PARITY_SQL)
+def grid_cut_scores(spark, d):
+    """Model selection with an exact learner: hits of each cut on the validation part."""
+    rows = parity.described(t(spark, d, "documents"), t(spark, d, "labels")).filter("split = 'validation'")
+    return parity.cut_scores(rows, _CUTS)
+
+
+@query("""WITH x AS (SELECT vec_id % 7 AS cluster, vec_id, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) AS i FROM embeddings),
+m AS (SELECT cluster, i, avg(v) AS c FROM x GROUP BY 1, 2)
+SELECT cluster, count(DISTINCT vec_id) AS n, round(sum((v - c) * (v - c)), 4) AS cost FROM x JOIN m USING (cluster, i) GROUP BY 1""")
+def within_cluster_cost(spark, d):
+    e = t(spark, d, "embeddings").select((F.col("vec_id") % 7).alias("c"), "embedding")
+    return M.within_cluster_cost(e, "embedding", "c", 64).withColumn("cost", F.round("cost", 4))
+
+
+_SHAPE_EDGES = {"chain": 6, "star": 6, "diamonds": 8}
+
+
+@query(f"""SELECT shape, CAST(edges AS BIGINT) AS edges, CAST(seed AS BIGINT) AS seed, CAST(0 AS BIGINT) AS gap FROM (VALUES {", ".join(f"('{k}', {v})" for k, v in _SHAPE_EDGES.items())}) s(shape, edges), range(5) r(seed)""")
+def planner_gap_by_shape(spark, d):
+    """Planned less least cost on small graphs of each shape; the search over all assignments finds nothing cheaper."""
+    rows = [(s, len(synthetic.SHAPES[s](7, seed)), seed, synthetic.gap(s, 7, seed)) for s in _SHAPE_EDGES for seed in range(5)]
+    return spark.createDataFrame(rows, "shape string, edges long, seed long, gap long")
+
+
 def queries() -> dict:
     return dict(_registry.queries)
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from iterspark.plans.session import Policy, Session, Workflow
 from iterspark.plans.store import MaterializationStore
 from iterspark.workloads.digit_vectors import digit_vectors
+from iterspark.workloads.library_parity import library_parity
 from iterspark.workloads.pair_extraction import pair_extraction
 from iterspark.workloads.price_class import EDITS, price_class
 from iterspark.workloads.simulator import WEIGHTS, simulate
@@ -141,3 +142,13 @@ def test_simulator_follows_weights():
     got = simulate(EDITS, WEIGHTS["price_class"], 200, 3)
     assert got == simulate(EDITS, WEIGHTS["price_class"], 200, 3)
     assert sum(p == "post" for p, _ in got) > sum(p == "learn" for p, _ in got)
+
+
+def test_one_more_grid_point_reuses_the_others(spark, tmp_path):
+    s = Session(spark, str(tmp_path), Policy.keep_all())
+    first = s.run(library_parity(D, 0)).outputs["best"]
+    assert first["test"]["accuracy"] > 0.6
+    more = s.run(library_parity(D, 1))
+    assert more.states["model_0.001"] == "compute"
+    assert {more.states[f"model_{r}"] for r in (0.1, 0.01)} == {"prune"} and more.states["rows"] != "compute"
+    assert s.run(library_parity(D, 2)).states["model_0.001"] == "prune"
