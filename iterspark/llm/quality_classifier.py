@@ -68,12 +68,16 @@ def context_vectors(docs: DataFrame, shape: Shape = Shape()) -> np.ndarray:
             for block in blocks(b.column(0)):
                 w = words(block)
                 bucket = bucket_of(w, shape)
+                at, signs = [], []
                 for gap in range(1, shape.window + 1):
                     near = np.flatnonzero(w.doc[gap:] == w.doc[:-gap]) if len(w.doc) > gap else np.zeros(0, dtype=np.int64)
                     left, right = bucket[near], bucket[near + gap]
                     for place, sign in table:
                         for own, other in ((left, right), (right, left)):
-                            total += np.bincount(own * shape.dims + place[other], weights=sign[other], minlength=cells)
+                            at.append(own * shape.dims + place[other])
+                            signs.append(sign[other])
+                if at:  # one pass over the cells for each block
+                    total += np.bincount(np.concatenate(at), weights=np.concatenate(signs), minlength=cells)
         task = TaskContext.get().partitionId()
         size = _PART * shape.dims
         for i in range(0, cells, size):
