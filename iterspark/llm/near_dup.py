@@ -20,8 +20,10 @@ collapsed before all this and joined again at the end.
 
 Defined results: a null text counts as empty. Texts without words have no
 shingles; they are alike only if they are the same text. Repeated rows are all
-returned, in one class. A class's id is its least doc_id (null if all its ids are
-null). An empty table gives an empty table. Very long texts are used whole. Columns other
+returned, in one class. A class is known by its least text_id (`label`), which no
+other class has. Its class_id is its least doc_id (null if all its ids are null), which
+other classes have too where ids are null or repeated. Just one row of each class is
+`kept`: of the least id, then the least text_id. An empty table gives an empty table. Very long texts are used whole. Columns other
 than the id and the text are not read; `stage` carries them.
 """
 
@@ -214,10 +216,13 @@ def _identified(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = 0.8, size: int = 5, bands: int = 20, rows: int = 6, block: int = 256) -> DataFrame:
-    """doc_id, class_id, class_size (rows), text_id: a row for each row of `docs`."""
+    """doc_id, class_id, class_size (rows), text_id, label, kept: a row for each row of `docs`."""
     found = _identified(docs, doc_id, text)
-    signed = parked(signature_table(found, bands=bands, rows=rows, size=size), "signatures")
-    texts = parked(signed.groupBy("text_id").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies"), F.any_value("keys").alias("keys")), "texts")
+    signed = parked(signature_table(found, bands=bands, rows=rows, size=size).withColumn("row", F.monotonically_increasing_id()), "signatures")
+    # null ids come last
+    least_row = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")).alias("first")
+    texts = signed.groupBy("text_id").agg(least_row, F.count("*").alias("copies"), F.any_value("keys").alias("keys"))
+    texts = parked(texts.select("text_id", F.col("first.doc_id").alias("first_id"), F.col("first.row").alias("first_row"), "copies", "keys"), "texts")
     keyed = texts.select("text_id", F.posexplode("keys").alias("band", "key"))
     member_of = F.xxhash64(F.lit(5), "text_id").cast("decimal(20,0)")
     buckets = keyed.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("text_id").alias("leader"), F.sum(member_of).alias("who")).filter("n > 1")
@@ -233,17 +238,18 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     more = cut(_verify_blocks(inside, bags, least, block))
     if not more.isEmpty():
         labels = cut(components(links.union(more)))
-    classes = texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "copies", F.coalesce("label", "text_id").alias("label"))
-    whole = classes.groupBy("label").agg(F.min("first_id").alias("class_id"), F.sum("copies").alias("class_size"))
-    of_text = classes.select("text_id", "label").join(whole, "label").select("text_id", "class_id", "class_size")
-    return signed.select("doc_id", "text_id").join(of_text, "text_id").select("doc_id", "class_id", "class_size", "text_id")
+    classes = texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "first_row", "copies", F.coalesce("label", "text_id").alias("label"))
+    least_text = F.min(F.struct(F.col("first_id").isNull().alias("none"), "first_id", "text_id", "first_row")).alias("first")
+    whole = classes.groupBy("label").agg(least_text, F.sum("copies").alias("class_size"))
+    whole = whole.select("label", F.col("first.first_id").alias("class_id"), F.col("first.first_row").alias("kept_row"), "class_size")
+    of_text = classes.select("text_id", "label").join(whole, "label")
+    return signed.select("doc_id", "text_id", "row").join(of_text, "text_id").select("doc_id", "class_id", "class_size", "text_id", "label", (F.col("row") == F.col("kept_row")).alias("kept"))
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class, the one with the least id; all columns."""
+    """One document of each class, the one with the least id (of several, the least text_id); all columns."""
     short_batches(spark or docs.sparkSession)
     found = near_duplicates(docs)
-    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("class_id").agg(F.min("text_id").alias("_text_id"))
-    keep = keep.select(F.coalesce("class_id", F.lit(0)).alias("_id"), F.col("class_id").isNull().alias("_none"), "_text_id")
+    keep = found.filter("kept").select(F.coalesce("doc_id", F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.col("text_id").alias("_text_id"))
     own = docs.select(F.struct("*").alias("_row"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.unhex(F.md5(F.coalesce("text", F.lit("")))).alias("_text_id"))
     return own.join(keep, ["_id", "_none", "_text_id"]).dropDuplicates(["_id", "_none", "_text_id"]).select("_row.*")

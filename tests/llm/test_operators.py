@@ -529,6 +529,26 @@ def test_near_duplicates_odd(odd, none):
     assert near_dup.near_duplicates(none).count() == 0 and near_dup.stage(None, none, D).count() == 0
 
 
+def test_each_class_keeps_one_row_where_ids_are_null_or_repeated(spark, tmp_path):
+    own = [" ".join(f"{c}{i}" for i in range(60)) for c in "abcdef"]
+    near = own[1] + " end"
+    rows = [(None, own[0]), (None, own[2]), (None, own[3]), (None, own[3]), (5, own[0] + " end"), (5, own[1]), (7, near), (5, own[4]), (5, own[4]), (9, own[5]), (None, own[5])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    docs.write.parquet(str(tmp_path / "documents.parquet"))
+    letter = lambda s: s[0]
+    got = near_dup.near_duplicates(docs).toPandas()
+    text_of = {hashlib.md5(s.encode()).digest(): s for _, s in rows}
+    got["letter"] = [letter(text_of[bytes(x)]) for x in got.text_id]
+    got["label"] = got.label.map(bytes)
+    assert len(got) == len(rows) and got.label.nunique() == 6 and (got.groupby("letter").label.nunique() == 1).all()
+    assert (got.class_size == got.groupby("letter").letter.transform("size")).all() and (got.groupby("letter").kept.sum() == 1).all()
+    kept = sorted((r["text"], r["doc_id"]) for r in near_dup.stage(None, docs, D).collect())
+    assert kept == [(own[0] + " end", 5), (own[1], 5), (own[2], None), (own[3], None), (own[4], 5), (own[5], 9)]
+    out = Q.op10_near_duplicates(spark, str(tmp_path)).toPandas()
+    assert out.class_key.nunique() == 6 and (out.groupby("class_key").kept.sum() == 1).all()
+    assert sorted(zip(out.class_id.fillna(0), out.class_size, strict=True)) == sorted([(5, 2)] * 6 + [(0, 1)] + [(0, 2)] * 2 + [(9, 2)] * 2)
+
+
 # registered queries and the pipeline
 
 
