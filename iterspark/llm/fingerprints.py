@@ -42,13 +42,17 @@ def sketches(column: pa.Array, *, fraction: float = 0.125, least: int = 16, size
         h = h >> np.uint64(64 - BITS)
         n = len(block.bounds) - 1
         under = h < limit
-        few = np.bincount(d[under], minlength=n) < 2 * least  # repeats may hide that it keeps too few
-        use = under | few[d]
-        h, d, _ = counted(h[use], d[use])
+        low, of, _ = counted(h[under], d[under])
+        few = np.bincount(of, minlength=n) < least  # of distinct hashes: repeats count once
+        use = few[d]
+        rest, of_rest, _ = counted(h[use], d[use])
+        h, d = np.concatenate((low[~few[of]], rest)), np.concatenate((of[~few[of]], of_rest))
+        order = np.argsort(d, kind="stable")
+        h, d = h[order], d[order]
         ends = np.searchsorted(d, np.arange(n + 1))
         for i in range(n):
             own = h[ends[i] : ends[i + 1]]
-            out.append(own[: max(least, int(np.searchsorted(own, limit)))] if few[i] else own)
+            out.append(own[:least] if few[i] else own)
     return out
 
 

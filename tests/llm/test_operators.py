@@ -283,6 +283,20 @@ def test_sketches_merge_and_equal_texts_agree():
     assert fingerprints.compare(big, s[0])[1] > 0.9 > fingerprints.compare(big, s[0])[0]
 
 
+def test_repeated_passages_keep_the_least_hashes():
+    passages = [" ".join(f"{c}{i}" for i in range(n)) for c, n in (("a", 12), ("b", 20), ("c", 50), ("d", 90))]
+    texts = [p + f"\n{p}" * 60 for p in passages] + ["x " * 5000, *passages, " ".join(f"w{i}" for i in range(3000))]
+    h, d = textvec.shingles(textvec.words(next(textvec.blocks(pa.array(texts)))), 5)
+    limit = np.uint64(0.125 * 2**48)
+    got = fingerprints.sketches(pa.array(texts))
+    for i, sketch in enumerate(got):
+        every = np.unique(h[d == i] >> np.uint64(16))
+        under = every[every < limit]
+        assert np.array_equal(sketch, under if len(under) >= 16 else every[:16])
+    part, whole = fingerprints.sketches(pa.array([texts[2], texts[2] + " end"]))
+    assert fingerprints.compare(part, whole)[0] > 0.8
+
+
 def test_fingerprints_odd(odd, none):
     assert fingerprints.fingerprint_documents(odd).count() == odd.count()
     assert fingerprints.fingerprint_documents(none).count() == 0
