@@ -51,13 +51,14 @@ def kmeans_fixed(df: DataFrame, key: str, vector: str, dims: int, k: int, rounds
     return out.select(key, "cluster")
 
 
-def logistic(df: DataFrame, columns: list[str], label: str, reg: float = 0.1, l1: float = 0.0, max_iter: int = 30):
-    """Spark's logistic regression over numeric columns; returns the fitted pipeline."""
+def logistic(df: DataFrame, columns: list[str], label: str, reg: float = 0.1, l1: float = 0.0, max_iter: int = 30, weight: str | None = None):
+    """Spark's logistic regression over numeric columns, rows weighted by `weight`; returns the fitted pipeline."""
     from pyspark.ml import Pipeline
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import VectorAssembler
 
-    return Pipeline(stages=[VectorAssembler(inputCols=columns, outputCol="features"), LogisticRegression(labelCol=label, regParam=reg, elasticNetParam=l1, maxIter=max_iter)]).fit(df)
+    weighted = {"weightCol": weight} if weight else {}
+    return Pipeline(stages=[VectorAssembler(inputCols=columns, outputCol="features"), LogisticRegression(labelCol=label, regParam=reg, elasticNetParam=l1, maxIter=max_iter, **weighted)]).fit(df)
 
 
 def naive_bayes(tokens: DataFrame, token: str, label: str, smoothing: float = 1.0) -> DataFrame:

@@ -10,6 +10,8 @@ from iterspark.plans.session import Workflow
 EDITS = [("start", {}), ("prep", {"distance": True}), ("prep", {"shapes": True}), ("prep", {"ends": True}), ("prep", {"shapes": False}), ("prep", {"titles": True})]
 START = {"distance": False, "shapes": False, "ends": False, "titles": False}
 LEAST = 8
+#: What an unknown pair counts for in fitting, where a known one counts 1: positives are rare.
+UNKNOWN_WEIGHT = 1 / 64
 
 
 def parameters(iteration: int) -> dict:
@@ -27,9 +29,8 @@ def known_pairs(bench, pages=None):
 
 
 def labelled(pairs, known):
-    """All pairs that are known, and of the rest one in 64 by a stable hash: positives are rare."""
-    joined = pairs.join(known.withColumn("y", F.lit(1.0)), ["word_a", "word_b"], "left").withColumn("label", F.coalesce("y", F.lit(0.0))).drop("y")
-    return joined.filter((F.col("label") == 1) | (F.pmod(F.xxhash64("word_a", "word_b"), F.lit(64)) == 0))
+    """All pairs, labelled 1 where they are known."""
+    return pairs.join(known.withColumn("y", F.lit(1.0)), ["word_a", "word_b"], "left").withColumn("label", F.coalesce("y", F.lit(0.0))).drop("y")
 
 
 def pair_extraction(sf_dir: str, iteration: int = 0, **edits) -> Workflow:
@@ -59,7 +60,8 @@ def pair_extraction(sf_dir: str, iteration: int = 0, **edits) -> Workflow:
         from iterspark.functions.learners import logistic
 
         names = [c for c in e.columns if c.startswith("x_")]
-        m = logistic(e, names, "label", 0.01).stages[-1]
+        e = e.withColumn("_weight", F.when(F.col("label") == 1, 1.0).otherwise(UNKNOWN_WEIGHT))
+        m = logistic(e, names, "label", 0.01, weight="_weight").stages[-1]
         return {"weights": [float(w) for w in m.coefficients.toArray()], "bias": float(m.intercept), "layout": names}
 
     def apply(e, m):

@@ -4,11 +4,12 @@ import time
 import pytest
 from pyspark.sql import functions as F
 
+from iterspark.operators import relational as R
 from iterspark.plans.session import Policy, Session, Workflow
 from iterspark.plans.store import MaterializationStore
 from iterspark.workloads.digit_vectors import digit_vectors
 from iterspark.workloads.library_parity import library_parity
-from iterspark.workloads.pair_extraction import pair_extraction
+from iterspark.workloads.pair_extraction import known_pairs, pair_extraction
 from iterspark.workloads.price_class import EDITS, price_class
 from iterspark.workloads.simulator import WEIGHTS, simulate
 
@@ -113,6 +114,16 @@ def test_pair_extraction_reuses_sentences(spark, tmp_path):
     assert s.run(pair_extraction(D, 1)).states["sentences"] == "prune"
 
 
+def test_pair_extraction_predicts_every_candidate_pair(spark, tmp_path):
+    docs, talk = (spark.read.parquet(f"{D}/{t}.parquet") for t in ("documents", "conversations"))
+    texts = docs.selectExpr("concat('d', doc_id) id", "text").union(talk.selectExpr("concat_ws('-', 'c', conv_id, turn) id", "text"))
+    pairs = R.candidate_pairs(R.mentions(R.sentences(texts, ["id"]), ["id"], 8), ["id"]).select("word_a", "word_b")
+    known = known_pairs(spark.read.parquet(f"{D}/benchmark.parquet"))
+    got = Session(spark, str(tmp_path), Policy.keep_none()).run(pair_extraction(D, 0)).outputs["precision"]
+    hits = pairs.join(known, ["word_a", "word_b"], "left_semi").count()
+    assert sum(r["count"] for r in got) == pairs.count() and sum(r["count"] for r in got if r["label"] == 1) == hits > 0
+
+
 def test_waves_give_the_same(spark, tmp_path):
     a = Session(spark, str(tmp_path / "a"), Policy.keep_none(), parallel_nodes=3).run(steps(3)).outputs
     assert a == Session(spark, str(tmp_path / "b"), Policy.keep_none()).run(steps(3)).outputs
