@@ -330,6 +330,19 @@ def interval_join(spark, d):
     return R.interval_join(o.select("o_totalprice"), spans, "o_totalprice", "low", "high", 500.0).groupBy("span").agg(F.count("*").alias("n"))
 
 
+@query("SELECT s.o_orderkey AS span, count(*) AS n FROM orders o JOIN orders s ON o.o_totalprice >= s.o_totalprice AND o.o_totalprice < s.o_totalprice + 500 GROUP BY 1")
+def interval_join_all_spans(spark, d):
+    return orders_in_spans(t(spark, d, "orders"))
+
+
+def orders_in_spans(o):
+    """Of each order's span of 500 from its price up, the orders in it. Prices are counted once, so a hot one joins as one row."""
+    prices = o.groupBy(F.col("o_totalprice").alias("price")).agg(F.count("*").alias("n"))
+    spans = prices.select(F.col("price").alias("low"), (F.col("price") + 500).alias("high")).filter("low is not null")
+    inside = R.interval_join(prices, spans, "price", "low", "high", 500.0).groupBy("low").agg(F.sum("n").alias("n"))
+    return o.join(inside, o["o_totalprice"] == inside["low"]).groupBy(F.col("o_orderkey").alias("span")).agg(F.sum("n").alias("n"))
+
+
 _AGG = "count(*) AS n, CAST(round(sum(o_totalprice) * 100) AS BIGINT) AS cents"
 
 

@@ -51,6 +51,18 @@ def test_query_without_sql_gives_rows(spark, name):
     assert Q[name](spark, D).count() > 0
 
 
+def test_spans_of_all_orders_by_brute_force(spark):
+    rows = [(i, 1000.0) for i in range(1, 40)] + [(50, 1499.99), (51, 1500.0), (52, 500.0), (53, 501.0), (54, -3.5), (55, None), (56, 0.0)]
+    got = table_queries.orders_in_spans(spark.createDataFrame(rows, "o_orderkey long, o_totalprice double")).collect()
+    want = {k: sum(1 for _, x in rows if x is not None and p <= x < p + 500) for k, p in rows if p is not None}
+    assert {r["span"]: r["n"] for r in got} == want and len(got) == len(want)
+
+
+def test_every_order_has_a_span(spark, duck):
+    spans = {name for name in SQL if name.startswith("interval_join") and duck.execute(f"SELECT count(*) FROM ({SQL[name]})").fetchone()[0] == duck.execute("SELECT count(DISTINCT o_orderkey) FROM orders").fetchone()[0]}
+    assert spans == {"interval_join_all_spans"}
+
+
 def test_entry_module():
     import __spark_entry__ as e
 
