@@ -34,10 +34,14 @@ from iterspark.llm.common import short_batches
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, cost double"
 
 
+#: The special token that the JSON file declares, and its id.
+SPECIAL = {"<|endoftext|>": 50256}
+
+
 class Encoder:
     """Byte-level BPE ids, from the ranks of the vocabulary that the JSON file holds.
 
-    Strings of special tokens in a text are ordinary text.
+    As with the vocabulary's own settings, the string of its one special token is one id.
     """
 
     def __init__(self, ranks_path: str):
@@ -46,10 +50,10 @@ class Encoder:
 
         with open(ranks_path, "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-        self.own = tiktoken.Encoding("packing", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+        self.own = tiktoken.Encoding("packing", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=SPECIAL)
 
     def ids(self, text: str, end: int) -> np.ndarray:
-        return np.append(np.asarray(self.own.encode_ordinary(text), dtype="<u4"), np.array([end], dtype="<u4"))
+        return np.append(np.asarray(self.own.encode(text, allowed_special="all"), dtype="<u4"), np.array([end], dtype="<u4"))
 
 
 def assign(lengths: np.ndarray, capacity: int, linear: float, quadratic: float) -> list[tuple[int, int, int, int, int]]:

@@ -389,6 +389,18 @@ def test_packing_round_trip(docs):
     assert got.equals(packing.pack(docs, packing.default_ranks(), block_rests=50).toPandas())
 
 
+def test_special_strings_have_the_ids_of_the_tokenizer_by_default(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    texts = ["one<|endoftext|>two", "<|endoftext|>", "a <|endoftext|>\n<|endoftext|> b", "<|endoftext", " <|endoftext|><|endoftext|> ", "<|ENDOFTEXT|> <|pad|> plain"]
+    tk = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    ids = {i: np.array([*tk.encode(x, add_special_tokens=False).ids, 0], dtype="<u4") for i, x in enumerate(texts)}
+    got = packing.pack(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), packing.default_ranks()).toPandas()
+    assert set(got.doc_id) == set(ids) and list(ids[1]) == [50256, 0]
+    check_pieces(got, ids)
+
+
 def test_costs_are_balanced():
     rng = np.random.default_rng(0)
     lengths = rng.integers(1, 900, 400)
