@@ -66,6 +66,11 @@ def tf_idf_weights(spark, d):
     return X.tf_idf(R.tokens(t(spark, d, "benchmark"), ["item_id"]), "item_id", "token").withColumn("weight", F.round("weight", 5))
 
 
+@query()
+def tf_idf_weights_documents(spark, d):
+    return X.tf_idf(R.tokens(t(spark, d, "documents"), ["doc_id"]), "doc_id", "token").withColumn("weight", F.round("weight", 5))
+
+
 @query()
 def principal_components(spark, d):
     return spark.createDataFrame(list(enumerate(X.principal_shares(t(spark, d, "embeddings"), "embedding", 4))), "component int, share double")

@@ -223,6 +223,16 @@ def cooccurrence_embedding(spark, d):
     return entity_clusters.cooccurrence_vectors(toks, 32)
 
 
+@query()
+def cooccurrence_documents(spark, d):
+    return R.cooccurrence(R.tokens(t(spark, d, "documents"), ["doc_id"]), "doc_id", 2)
+
+
+@query()
+def cooccurrence_embedding_documents(spark, d):
+    return entity_clusters.cooccurrence_vectors(R.tokens(t(spark, d, "documents"), ["doc_id"]), 32)
+
+
 @query("""WITH k AS (SELECT toxic, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS token FROM documents JOIN labels USING (doc_id)), c AS (SELECT token, sum(CASE WHEN toxic = 1 THEN 1 ELSE 0 END) AS n1, sum(CASE WHEN toxic = 0 THEN 1 ELSE 0 END) AS n0 FROM k GROUP BY 1), w AS (SELECT sum(n1) AS t1, sum(n0) AS t0, count(*) AS v FROM c)
 SELECT token, CAST(n0 AS BIGINT) AS n0, CAST(n1 AS BIGINT) AS n1, round(ln((n1 + 1.0::DOUBLE) / (t1 + v)) - ln((n0 + 1.0::DOUBLE) / (t0 + v)), 5) AS log_odds FROM c, w WHERE n0 + n1 >= 5""")
 def naive_bayes_odds(spark, d):

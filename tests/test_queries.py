@@ -1,4 +1,5 @@
 import os
+from collections import Counter
 from datetime import timedelta
 
 import duckdb
@@ -63,6 +64,20 @@ def test_every_order_has_a_span(spark, duck):
     assert spans == {"interval_join_all_spans"}
 
 
+def test_cooccurrence_of_all_documents_by_brute_force(spark, duck):
+    tokens = duck.execute("SELECT regexp_extract_all(lower(text), '\\p{L}+') FROM documents").fetchall()
+    want = Counter()
+    for (row,) in tokens:
+        for i, a in enumerate(row or []):
+            for b in row[i + 1 : i + 3]:
+                want[a, b] += 1
+                want[b, a] += 1
+    got = {(r["token"], r["other"]): r["n"] for r in Q["cooccurrence_documents"](spark, D).collect()}
+    assert got == want
+    vectors = Q["cooccurrence_embedding_documents"](spark, D)
+    assert {r[0] for r in vectors.select("word").collect()} == {a for a, _ in want}
+
+
 def test_entry_module():
     import __spark_entry__ as e
 
