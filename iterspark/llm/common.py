@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,26 +14,69 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: A key that holds more than this part of all rows is joined by broadcast; fewer keys than this can.
+MOST_HOT = 1000
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that driver and executors share. Only a local master, whose executors are the driver, may go without."""
+    sc = spark.sparkContext
+    known = sc._jsc.sc().getCheckpointDir()
+    named = spark.conf.get("spark.checkpoint.dir", None) or (known.get() if known.isDefined() else None)
     if named is None:
-        known = spark.sparkContext._jsc.sc().getCheckpointDir()
-        named = known.get() if known.isDefined() else tempfile.mkdtemp(prefix="iterspark-")
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(named)
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        named = tempfile.mkdtemp(prefix="iterspark-")
+    if not known.isDefined():
+        sc.setCheckpointDir(named)
     return named.rstrip("/")
 
 
+#: Folders written since the innermost `scratch` was opened, a list for each.
+_open: list[list[str]] = []
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Removes what `cut`, `parked` and `fresh_path` have written inside, and puts the batch length back.
+
+    Results made inside are lazy, so write what is to stay before the block ends, elsewhere.
+    """
+    batch = spark.conf.get(_BATCH)
+    _open.append([])
+    try:
+        yield
+    finally:
+        spark.conf.set(_BATCH, batch)
+        for path in _open.pop():
+            remove(spark, path)
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def _note(path: str) -> str:
+    if _open:
+        _open[-1].append(path)
+    return path
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write `df` to the shared folder and return it without its lineage."""
     shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    if _open:
+        file = out._jdf.queryExecution().logical().rdd().getCheckpointFile()
+        if file.isDefined():
+            _note(file.get())
+    return out
 
 
 def fresh_path(spark: SparkSession, label: str) -> str:
     """A new folder below the shared one."""
-    return f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
+    return _note(f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}")
 
 
 def parked(df: DataFrame, label: str) -> DataFrame:
@@ -41,11 +86,26 @@ def parked(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def joined_by_key(rows: DataFrame, facts: DataFrame, key: str, n: str, total: int, most: int = MOST_HOT) -> DataFrame:
+    """`rows` with the columns of `facts`, which has one row for each key; keys without facts are left out.
+
+    `n` is a column of `facts`, at least the number of `rows` with the key; `total` the sum of `n`. Keys
+    with more than a `most`-th of that, of which there are fewer than `most`, go by broadcast, so no task
+    holds all rows of a hot key; the others go by shuffle.
+    """
+    often = F.col(n) > max(total / most, 64)
+    hot, rare = F.broadcast(facts.filter(often)), facts.filter(~often)
+    return rows.join(hot, key).unionByName(rows.join(hot.select(key), key, "left_anti").join(rare, key))
+
+
 _BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def short_batches(spark: SparkSession, rows: int = 1000) -> None:
-    """Send texts to Python in batches of at most so many rows: texts are long, and both sides hold a whole batch."""
+    """Send texts to Python in batches of at most so many rows: texts are long, and both sides hold a whole batch.
+
+    Spark reads the setting when a plan runs, so it stays until a `scratch` around the work ends.
+    """
     if int(spark.conf.get(_BATCH)) > rows:
         spark.conf.set(_BATCH, str(rows))
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import cut
+from iterspark.llm.common import cut, joined_by_key
 
 
 def _mark(edges: DataFrame) -> tuple:
@@ -17,18 +17,19 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 
     Each round hangs larger neighbours on the least one around a node, then the
     node and its smaller neighbours on the least of these. Rounds grow with the
-    logarithm of the longest path. Minima are pre-aggregated, so a node with very
-    many edges costs no more than its rows. No edges give no rows.
+    logarithm of the longest path. Minima are pre-aggregated, and a node with a large
+    part of all edges is joined by broadcast. No edges give no rows.
     """
     pairs = edges.select("a", "b").filter("a <> b")
     now = cut(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     mark = _mark(now)
     for _ in range(most_rounds):
         both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("m"))
-        large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(low, "a")
+        least = both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("m"), F.count("*").alias("n"))
+        hung = joined_by_key(both.filter("b > a"), least, "a", "n", 2 * mark[0])
+        large = hung.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
+        low = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
+        small = joined_by_key(large, low, "a", "n", mark[0])
         now = cut(small.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").union(low.select("a", F.col("m").alias("b"))).distinct())
         new = _mark(now)
         if new == mark:
@@ -36,4 +37,5 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         mark = new
     else:
         raise RuntimeError("components did not settle")
-    return now.groupBy("a").agg(F.min("b").alias("label")).select(F.col("a").alias("node"), "label").union(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
+    # settled, every node but the labels has just one row
+    return now.select(F.col("a").alias("node"), F.col("b").alias("label")).union(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())

@@ -12,11 +12,15 @@ to a later horizon, so the signature is exact.
 Texts that agree in all registers of a band share a bucket. Every candidate link
 is verified on the whole multisets. First each text of a bucket is compared with
 the bucket's least text. Where a bucket then still holds more than one class, the
-texts outside its largest class are compared with all its texts in blocks of
-`block` by `block`, of which only links that join classes come back. So no link
-between texts that share a bucket is lost, no list of pairs is made, and a task's
-memory is bounded. Classes are the connected components. Exact copies are
-collapsed before all this and joined again at the end.
+texts outside its largest class are compared in blocks of `block` by `block` with
+those of its texts that their distances to the least text do not rule out; only links
+that join classes come back. So no link between texts that share a bucket is lost, no
+list of pairs is made, and a task's memory is bounded. Classes are the connected
+components. Exact copies are collapsed before all this and joined again at the end.
+
+No task holds all rows of a hot text, bucket or class: few keys can hold a large part
+of the rows, and these are joined by broadcast; bags that many rows meet are copied
+and the rows dealt over the copies.
 
 Defined results: a null text counts as empty. Texts without words have no
 shingles; they are alike only if they are the same text. Repeated rows are all
@@ -29,17 +33,20 @@ than the id and the text are not read; `stage` carries them.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import cut, parked, short_batches
+from iterspark.llm.common import cut, joined_by_key, parked, short_batches
 from iterspark.llm.components import components
 from iterspark.llm.textvec import blocks, counted, mix, shingles, tidy, unit, words
 
+#: Cells of distance to a bucket's leader.
+_CELLS = 16
 _STEP, _LEVEL = np.uint64(0xD1342543DE82EF95), np.uint64(0x2545F4914F6CDD1D)
 
 
@@ -128,20 +135,32 @@ def likeness(a: np.ndarray, b: np.ndarray) -> float:
     return common / max(len(both) - common, 1)
 
 
-def _verify_stars(pairs: DataFrame, bags: DataFrame, least: float) -> DataFrame:
+def _salted(bags: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Bags with `salt`, copied as often as `wanted` (text_id, salts) says; rows that meet a bag are dealt over its salts."""
+    most = wanted.groupBy("text_id").agg(F.max("salts").alias("salts"))
+    return bags.join(most, "text_id").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts")
+
+
+def _salts(n: Column, spark) -> Column:
+    """How many parts `n` rows are dealt to: of 64 rows each, four for a task at the most."""
+    return F.greatest(F.least(F.ceil(n / 64), F.lit(4 * int(spark.conf.get("spark.sql.shuffle.partitions")))), F.lit(1)).cast("int")
+
+
+def _star_likeness(members: DataFrame, bags: DataFrame) -> DataFrame:
+    """(a, b, like): of each text of a bucket, b, its likeness to the bucket's leader, a."""
+    pairs = members.filter("text_id <> leader").groupBy(F.col("leader").alias("a"), F.col("text_id").alias("b")).agg(F.max("n").alias("n"))
+    pairs = pairs.withColumn("salts", _salts(F.col("n"), members.sparkSession)).withColumn("salt", F.pmod(F.xxhash64("b"), F.col("salts")).cast("int"))
     member = bags.select(F.col("text_id").alias("b"), F.col("bag").alias("bag_b"))
-    leader = bags.select(F.col("text_id").alias("a"), F.col("bag").alias("bag_a"))
-    # of two multisets that are alike enough, the smaller has at least that share of the larger
-    near_size = F.least(F.octet_length("bag_a"), F.octet_length("bag_b")) >= least * F.greatest(F.octet_length("bag_a"), F.octet_length("bag_b"))
-    joined = pairs.join(member, "b").join(leader, "a").filter(near_size)
+    leader = _salted(bags, pairs.select(F.col("a").alias("text_id"), "salts")).select(F.col("text_id").alias("a"), "salt", F.col("bag").alias("bag_a"))
+    joined = pairs.join(member, "b").join(leader, ["a", "salt"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in batches:
             x, y = t.column("bag_a"), t.column("bag_b")
-            ok = [likeness(np.frombuffer(p.as_py(), np.uint32), np.frombuffer(q.as_py(), np.uint32)) >= least for p, q in zip(x, y, strict=True)]
-            yield t.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
+            like = [likeness(np.frombuffer(p.as_py(), np.uint32), np.frombuffer(q.as_py(), np.uint32)) for p, q in zip(x, y, strict=True)]
+            yield pa.RecordBatch.from_arrays([t.column("a"), t.column("b"), pa.array(like, pa.float64())], names=["a", "b", "like"])
 
-    return joined.select("a", "b", "bag_a", "bag_b").mapInArrow(run, "a binary, b binary")
+    return joined.select("a", "b", "bag_a", "bag_b").mapInArrow(run, "a binary, b binary, like double")
 
 
 def _common(left: list[np.ndarray], right: list[np.ndarray], chunk: int = 4096) -> np.ndarray:
@@ -165,20 +184,40 @@ def _common(left: list[np.ndarray], right: list[np.ndarray], chunk: int = 4096)
     return out
 
 
-def _verify_blocks(members: DataFrame, bags: DataFrame, least: float, block: int) -> DataFrame:
-    """Links between classes inside buckets. `members`: (bucket, text_id, label)."""
-    by_label = members.groupBy("bucket", "label").agg(F.count("*").alias("n"))
-    main = by_label.groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m"), F.sum("n").alias("n"), F.count("*").alias("labels")).filter("labels > 1 and n > 2")
-    main = cut(main.select("bucket", F.col("m.label").alias("main"), F.ceil(F.col("n") / block).cast("int").alias("nb"), F.ceil((F.col("n") - F.col("m.n")) / block).cast("int").alias("ob")))
-    rows = members.join(main, "bucket")
-
-    def numbers(n: str):
-        return F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least: float, block: int) -> DataFrame:
+    """Links between classes inside buckets. `members`: (bucket, n, leader, text_id, label).
 
-    h = F.xxhash64("text_id")
-    out_side = rows.filter("label <> main").select("bucket", "text_id", "label", F.pmod(h, F.col("ob")).cast("int").alias("o"), numbers("nb").alias("m"), F.lit(True).alias("outside"))
-    all_side = rows.select("bucket", "text_id", "label", numbers("ob").alias("o"), F.pmod(h, F.col("nb")).cast("int").alias("m"), F.lit(False).alias("outside"))
-    dealt = out_side.union(all_side).join(bags, "text_id").select("bucket", "o", "m", "outside", "text_id", "label", "bag")
+    Distance (1 - likeness) is a metric, so two texts whose distances to the leader
+    differ by more than 1 - `least` are no link. Texts are sorted into cells of that
+    distance, cells are cut into blocks, and only cells near enough meet.
+    """
+    spark, reach = members.sparkSession, math.floor((1 - least) * _CELLS + 1e-9) + 1
+    by_label = members.groupBy("bucket", "label").agg(F.count("*").alias("n"))
+    main = by_label.groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m"), F.sum("n").alias("size"), F.count("*").alias("labels")).filter("labels > 1 and size > 2")
+    main = cut(main.select("bucket", F.col("m.label").alias("main"), "size"))
+    total = main.agg(F.sum("size")).first()[0]
+    if not total:
+        return spark.createDataFrame([], "a binary, b binary")
+    near = stars.select(F.col("a").alias("leader"), F.col("b").alias("text_id"), "like")
+    cell = F.floor((1 - F.coalesce("like", F.lit(1.0))) * _CELLS).cast("int")
+    rows = joined_by_key(members, main, "bucket", "size", total).join(near, ["leader", "text_id"], "left")
+    rows = cut(rows.select("bucket", "size", "text_id", "label", (F.col("label") != F.col("main")).alias("outside"), cell.alias("cell")))
+    counts = rows.groupBy("bucket", "cell").agg(F.count("*").alias("n"), F.count_if("outside").alias("o"), F.first("size").alias("size"))
+    cells = counts.groupBy("bucket").agg(F.first("size").alias("size"), F.collect_list(F.struct("cell", F.ceil(F.col("n") / block).cast("int").alias("nb"), F.ceil(F.col("o") / block).cast("int").alias("ob"))).alias("cells"))
+    rows = joined_by_key(rows.drop("size"), cells, "bucket", "size", total)
+    close = F.filter("cells", lambda c: F.abs(c["cell"] - F.col("cell")) <= reach)
+    own = lambda n: F.element_at(F.filter("cells", lambda c: c["cell"] == F.col("cell")), 1)[n]
+
+    def side(kept: DataFrame, own_blocks: str, other_blocks: str, outside: bool) -> DataFrame:
+        others = F.flatten(F.transform(close, lambda c: F.when(c[other_blocks] > 0, F.transform(F.sequence(F.lit(0), c[other_blocks] - 1), lambda i: F.struct(c["cell"].alias("cell"), i.alias("block")))).otherwise(F.array().cast("array<struct<cell:int,block:int>>"))))
+        mine = F.struct("cell", F.pmod(F.xxhash64("text_id"), own(own_blocks)).cast("int").alias("block"))
+        spread = kept.select("bucket", "text_id", "label", mine.alias("mine"), others.alias("others")).withColumn("salts", _salts(F.size("others"), spark))
+        each = spread.select("bucket", "text_id", "label", "salts", "mine", F.explode("others").alias("other"))
+        pair = (F.col("mine").alias("out"), F.col("other").alias("all")) if outside else (F.col("other").alias("out"), F.col("mine").alias("all"))
+        return each.select("bucket", *pair, F.lit(outside).alias("outside"), "text_id", "label", "salts", F.pmod(F.xxhash64("other"), F.col("salts")).cast("int").alias("salt"))
+
+    dealt = side(rows.filter("outside"), "ob", "nb", True).union(side(rows, "nb", "ob", False))
+    dealt = dealt.join(_salted(bags, dealt.select("text_id", "salts")), ["text_id", "salt"]).select("bucket", "out", "all", "outside", "text_id", "label", "bag")
 
     def run(table: pa.Table) -> pa.Table:
         side = np.array(table.column("outside").to_pylist(), dtype=bool)
@@ -207,7 +246,7 @@ def _verify_blocks(members: DataFrame, bags: DataFrame, least: float, block: int
         tidy()
         return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
-    return dealt.groupBy("bucket", "o", "m").applyInArrow(run, "a binary, b binary")
+    return dealt.groupBy("bucket", "out", "all").applyInArrow(run, "a binary, b binary")
 
 
 def _identified(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
@@ -215,6 +254,10 @@ def _identified(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.unhex(F.md5(whole)).alias("text_id"), whole.alias("text"))
 
 
+def _row_key(text_id: Column, doc_id: Column) -> Column:
+    return F.struct(text_id.alias("t"), F.coalesce(doc_id, F.lit(0)).alias("i"), doc_id.isNull().alias("n"))
+
+
 def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = 0.8, size: int = 5, bands: int = 20, rows: int = 6, block: int = 256) -> DataFrame:
     """doc_id, class_id, class_size (rows), text_id, label, kept: a row for each row of `docs`."""
     found = _identified(docs, doc_id, text)
@@ -223,33 +266,40 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     least_row = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")).alias("first")
     texts = signed.groupBy("text_id").agg(least_row, F.count("*").alias("copies"), F.any_value("keys").alias("keys"))
     texts = parked(texts.select("text_id", F.col("first.doc_id").alias("first_id"), F.col("first.row").alias("first_row"), "copies", "keys"), "texts")
-    keyed = texts.select("text_id", F.posexplode("keys").alias("band", "key"))
+    n_texts, n_rows = texts.agg(F.count("*"), F.sum("copies")).first()
+    n_rows = n_rows or 0
+    # a key holds its band's number, so keys of two bands are not alike
+    keyed = texts.select("text_id", F.explode("keys").alias("bucket"))
     member_of = F.xxhash64(F.lit(5), "text_id").cast("decimal(20,0)")
-    buckets = keyed.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("text_id").alias("leader"), F.sum(member_of).alias("who")).filter("n > 1")
+    buckets = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.min("text_id").alias("leader"), F.sum(member_of).alias("who")).filter("n > 1")
     # bands often make the same bucket again; one of them is enough
-    buckets = cut(buckets.groupBy("n", "leader", "who").agg(F.min(F.struct("band", "key")).alias("k")).select("k.band", "k.key", "leader", F.xxhash64("k.band", "k.key").alias("bucket"), "n"))
-    members = parked(keyed.join(buckets, ["band", "key"]).select("bucket", "n", "leader", "text_id"), "members")
-    stars = members.filter("text_id <> leader").select(F.col("leader").alias("a"), F.col("text_id").alias("b")).distinct()
-    wanted = members.select("text_id").distinct().join(texts.select("text_id", F.col("first_id").alias("doc_id")), "text_id")
-    bags = parked(shingle_table(found.join(wanted, (found["text_id"] == wanted["text_id"]) & found["doc_id"].eqNullSafe(wanted["doc_id"])).select(found["text_id"], "text"), size).dropDuplicates(["text_id"]), "bags")
-    links = cut(_verify_stars(stars, bags, least))
+    buckets = cut(buckets.groupBy("n", "leader", "who").agg(F.min("bucket").alias("bucket")).select("bucket", "leader", "n"))
+    n_members = buckets.agg(F.sum("n")).first()[0] or 0
+    members = parked(joined_by_key(keyed, buckets, "bucket", "n", n_members).select("bucket", "n", "leader", "text_id"), "members")
+    wanted = members.select("text_id").distinct().join(texts.select("text_id", "first_id", "copies"), "text_id")
+    of_first = joined_by_key(found.withColumn("_k", _row_key(F.col("text_id"), F.col("doc_id"))), wanted.select(_row_key(F.col("text_id"), F.col("first_id")).alias("_k"), "copies"), "_k", "copies", n_rows)
+    bags = parked(shingle_table(of_first, size).dropDuplicates(["text_id"]), "bags")
+    stars = parked(_star_likeness(members, bags), "stars")
+    links = stars.filter(F.col("like") >= least).select("a", "b")
     labels = cut(components(links))
-    inside = members.filter("n > 2").join(labels, members["text_id"] == labels["node"], "left").select("bucket", "text_id", F.coalesce("label", "text_id").alias("label"))
-    more = cut(_verify_blocks(inside, bags, least, block))
+    inside = members.filter("n > 2").join(labels, members["text_id"] == labels["node"], "left").select("bucket", "n", "leader", "text_id", F.coalesce("label", "text_id").alias("label"))
+    more = cut(_verify_blocks(inside, stars, bags, least, block))
     if not more.isEmpty():
         labels = cut(components(links.union(more)))
-    classes = texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "first_row", "copies", F.coalesce("label", "text_id").alias("label"))
+    classes = parked(texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "first_row", "copies", F.coalesce("label", "text_id").alias("label")), "classes")
     least_text = F.min(F.struct(F.col("first_id").isNull().alias("none"), "first_id", "text_id", "first_row")).alias("first")
-    whole = classes.groupBy("label").agg(least_text, F.sum("copies").alias("class_size"))
-    whole = whole.select("label", F.col("first.first_id").alias("class_id"), F.col("first.first_row").alias("kept_row"), "class_size")
-    of_text = classes.select("text_id", "label").join(whole, "label")
-    return signed.select("doc_id", "text_id", "row").join(of_text, "text_id").select("doc_id", "class_id", "class_size", "text_id", "label", (F.col("row") == F.col("kept_row")).alias("kept"))
+    whole = classes.groupBy("label").agg(least_text, F.sum("copies").alias("class_size"), F.count("*").alias("texts"))
+    whole = whole.select("label", F.col("first.first_id").alias("class_id"), F.col("first.first_row").alias("kept_row"), "class_size", "texts")
+    of_text = parked(joined_by_key(classes.select("text_id", "copies", "label"), whole, "label", "texts", n_texts).drop("texts"), "of_text")
+    out = joined_by_key(signed.select("doc_id", "text_id", "row"), of_text, "text_id", "copies", n_rows)
+    return out.select("doc_id", "class_id", "class_size", "text_id", "label", (F.col("row") == F.col("kept_row")).alias("kept"))
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class, the one with the least id (of several, the least text_id); all columns."""
     short_batches(spark or docs.sparkSession)
-    found = near_duplicates(docs)
-    keep = found.filter("kept").select(F.coalesce("doc_id", F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.col("text_id").alias("_text_id"))
-    own = docs.select(F.struct("*").alias("_row"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.unhex(F.md5(F.coalesce("text", F.lit("")))).alias("_text_id"))
-    return own.join(keep, ["_id", "_none", "_text_id"]).dropDuplicates(["_id", "_none", "_text_id"]).select("_row.*")
+    found = near_duplicates(docs).filter("kept")
+    keep = parked(found.select(_row_key(F.col("text_id"), F.col("doc_id")).alias("_k"), "class_size"), "kept")
+    rows = keep.agg(F.sum("class_size")).first()[0] or 0
+    own = docs.select(F.struct("*").alias("_row"), _row_key(F.unhex(F.md5(F.coalesce("text", F.lit("")))), F.col("doc_id").cast("long")).alias("_k"))
+    return joined_by_key(own, keep, "_k", "class_size", rows).dropDuplicates(["_k"]).select("_row.*")
