@@ -231,11 +231,39 @@ def test_urls_by_both_ways(spark):
     df = spark.createDataFrame([(i, u) for i, u in enumerate(URLS)], "page_id long, url string").withColumn("rule", F.lit(1)).withColumn("host", F.lit(1))
     want = {i: brute_url(u, rules) for i, u in enumerate(URLS)}
     for bound in (200_000, 0):
-        got = url_filter.judge_urls(df, rules, broadcast_rules=bound, ranges=4, salts=2).collect()
+        got = url_filter.judge_urls(df, rules, broadcast_rules=bound, ranges=4).collect()
         assert {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in got} == want
     assert url_filter.judge_urls(df.limit(0), rules).count() == 0
 
 
+def test_many_rules_are_swept_in_even_ranges(spark):
+    rng = np.random.default_rng(2)
+    labels = ["com", "org", "net", "a", "b", "shop", "x1", "news"]
+    hosts = sorted({".".join(rng.choice(labels, rng.integers(1, 5))) for _ in range(700)})
+    paths = ["", "/", "/a", "/a/b", "/a/b/c", "/z\u00e9", "/ab"]
+    rules = [(h, str(p), ["allow", "block", "review-later"][int(rng.integers(3))]) for h in hosts for p in rng.choice(paths, 3, replace=False)]
+    rules += [("hot.com", f"/p/{i}", "block") for i in range(1500)] + [("hot.com", "/p/7", "allow"), (None, "/", "block"), ("x1", None, "allow")]
+    urls = [f"http://{'.'.join(rng.choice(labels, rng.integers(1, 6)))}{rng.choice(paths)}{rng.choice(paths)}?q" for _ in range(600)]
+    urls += [f"s://www.Hot.com/p/{i}/x" for i in range(0, 3000, 7)] + ["s://hot.com/p/77"] * 900 + URLS
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").repartition(5)
+    got = {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in url_filter.judge_urls(df, rules, broadcast_rules=10, ranges=16).collect()}
+    assert got == {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in url_filter.judge_urls(df, rules).collect()}
+    whole = [r for r in rules if None not in r and r != ("hot.com", "/p/7", "allow")]
+    some = [*range(0, 600, 6), *range(600, 1030, 40), *range(len(urls) - len(URLS), len(urls))]
+    assert all(got[i] == brute_url(urls[i], whole) for i in some)
+    keys = spark.createDataFrame([(url_filter.key_of(f"n{i:06}.example.com"),) for i in range(20_000)], "key string")
+    sizes = [r["count"] for r in url_filter.dealt(keys, url_filter._bounds(keys, 64)).groupBy("range").count().collect()]
+    assert len(sizes) > 60 and max(sizes) < 3 * 20_000 / 64
+
+
+def test_a_batch_enters_the_rules_where_its_urls_are():
+    rules = [(f"h{i:05}.com", "/", "block") for i in range(5000)] + [("com", "/", "allow"), ("a.h04000.com", "/x", "allow")]
+    sweep = url_filter.Sweep(rules)
+    hosts = ["z.h00001.com", "a.h04000.com", "b.a.h04000.com", "q.com", "h04999.com", "net"]
+    got = sweep.run(hosts, ["/x"] * 6, "none")
+    assert got == (["h00001.com/", "a.h04000.com/x", "a.h04000.com/x", "com/", "h04999.com/", None], ["block", "allow", "allow", "allow", "block", "none"])
+
+
 # 6 fingerprints
 
 
