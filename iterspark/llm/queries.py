@@ -15,13 +15,21 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
-#: Pages whose second replica is damaged: every 97th id loses its first character.
-_DAMAGE = 97
+#: What befalls the second replica, by page_id modulo these: the first character lost, the record lost, one more record.
+_DAMAGE, _LOSS, _EXTRA = 97, 89, 83
 
 
-def op2_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _second_replica(pages: DataFrame) -> DataFrame:
     damaged = F.when(F.col("page_id") % _DAMAGE == 13, F.substring("html", 2, 2_000_000_000)).otherwise(F.col("html"))
-    return fixity.audit_pages(table(spark, sf_dir, "pages"), damaged)
+    held = pages.select("page_id", "url", "html").filter(F.coalesce(F.col("page_id") % _LOSS != 5, F.lit(True)))
+    more = pages.filter(F.col("page_id") % _EXTRA == 7).select((-1 - F.col("page_id")).alias("page_id"), "url", "html")
+    return held.select("page_id", "url", damaged.alias("html")).union(more)
+
+
+def op2_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages")
+    numbers = ["file", "seq", "offset", "length", "copies", "replica_offset"]  # -1 where a replica has no such record
+    return fixity.compare(pages, _second_replica(pages)).fillna(-1, numbers).withColumnRenamed("record_id", "page_id")
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -51,7 +59,10 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     store = sharding.compacted(table(spark, sf_dir, "documents"), fresh_path(spark, "shards"))
-    return store.read().select("doc_id", "arrival", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("text_sha256"))
+    store.expire(1)
+    rows = store.read(shard_column="shard").select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("text_sha256"), "shard")
+    live = store.manifest()[1]
+    return rows.select("doc_id", "n_bytes", "text_sha256", F.col("shard.number").alias("shard"), F.col("shard.merges").alias("merges"), F.lit(len(live)).alias("live_shards"))
 
 
 def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -63,26 +74,29 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def _fixity_sql(per_file: int = 1024) -> str:
+    """For distinct (page_id, url), as in the given pages."""
+    end = "chr(13) || chr(10)"
+
+    def side(name: str, rows: str) -> str:
+        return f"""{name}0 AS (
+  SELECT page_id, sha256(coalesce(page_id::VARCHAR, '') || chr(10) || coalesce(url, '')) AS k,
+    'WARC/1.1' || {end} || 'WARC-Type: resource' || {end} || 'WARC-Record-ID: <urn:record:' || coalesce(page_id::VARCHAR, '') || '>' || {end} || 'WARC-Target-URI: ' || coalesce(url, '') || {end}
+      || 'Content-Length: ' || strlen(coalesce(html, '')) || {end} || {end} || coalesce(html, '') || {end} || {end} AS record FROM ({rows})
+), {name} AS (
+  SELECT *, row_number() OVER w - 1 AS seq, CAST(coalesce(sum(length) OVER (PARTITION BY file ORDER BY slot, k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS "offset"
+  FROM (SELECT min(page_id) AS page_id, k, sha256(record) AS sha256, min(strlen(record)) AS length, count(*) AS copies, CAST('0x' || substr(k, 1, 8) AS BIGINT) % (SELECT n FROM files) AS file,
+               CAST('0x' || substr(k, 9, 8) AS BIGINT) % {fixity.SLOTS} AS slot FROM {name}0 GROUP BY k, record) WINDOW w AS (PARTITION BY file ORDER BY slot, k)
+)"""
+
+    second = f"""SELECT page_id, url, CASE WHEN page_id % {_DAMAGE} = 13 THEN substr(html, 2) ELSE html END AS html FROM pages WHERE page_id % {_LOSS} <> 5
+    UNION ALL SELECT -1 - page_id, url, html FROM pages WHERE page_id % {_EXTRA} = 7"""
     return f"""
-WITH r AS (
-  SELECT page_id, url, coalesce(html, '') AS html,
-         CASE WHEN page_id % {_DAMAGE} = 13 THEN substr(coalesce(html, ''), 2) ELSE coalesce(html, '') END AS html2 FROM pages
-), w AS (
-  SELECT page_id,
-    'WARC/1.1' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:record:' || coalesce(page_id::VARCHAR, '') || '>' || chr(13) || chr(10)
-      || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) AS head, html, html2 FROM r
-), s AS (
-  SELECT page_id, head || 'Content-Length: ' || strlen(html) || repeat(chr(13) || chr(10), 2) || html || repeat(chr(13) || chr(10), 2) AS a,
-         head || 'Content-Length: ' || strlen(html2) || repeat(chr(13) || chr(10), 2) || html2 || repeat(chr(13) || chr(10), 2) AS b FROM w
-), d AS (
-  SELECT sha256(a) AS sha256, min(page_id) AS page_id, min(strlen(a)) AS length, min(sha256(b)) AS other, count(*) AS copies FROM s GROUP BY 1
-), f AS (
-  SELECT *, CAST(('0x' || substr(sha256, 1, 8)) AS BIGINT) % greatest(1, CAST(ceil((SELECT count(*) FROM d) / {per_file}.0) AS BIGINT)) AS file FROM d
-)
-SELECT page_id, file, row_number() OVER w - 1 AS seq,
-       CAST(coalesce(sum(length) OVER (PARTITION BY file ORDER BY sha256 ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS "offset",
-       length, copies, sha256, CASE WHEN other <> sha256 THEN other END AS replica_sha256, other <> sha256 AS damaged
-FROM f WINDOW w AS (PARTITION BY file ORDER BY sha256)"""
+WITH files AS (SELECT greatest(1, CAST(ceil(count(DISTINCT (page_id, url)) / {per_file}.0) AS BIGINT)) AS n FROM pages),
+{side("a", "SELECT page_id, url, html FROM pages")}, {side("b", second)}
+SELECT coalesce(a.page_id, b.page_id) AS page_id, coalesce(a.file, -1) AS file, coalesce(a.seq, -1) AS seq, coalesce(a."offset", -1) AS "offset", coalesce(a.length, -1) AS length,
+       coalesce(a.copies, -1) AS copies, a.sha256, coalesce(b."offset", -1) AS replica_offset, b.sha256 AS replica_sha256,
+       CASE WHEN a.k IS NULL THEN 'extra' WHEN b.k IS NULL THEN 'lost' WHEN a.sha256 <> b.sha256 THEN 'damaged' ELSE 'sound' END AS state
+FROM a FULL JOIN b ON a.k = b.k"""
 
 
 def _url_sql() -> str:
@@ -105,5 +119,6 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op2_fixity": _fixity_sql(),
         "op4_url_rules": _url_sql(),
-        "op9_sharding": "SELECT doc_id, CAST(doc_id % 8 AS INTEGER) AS arrival, CAST(strlen(text) AS BIGINT) AS n_bytes, sha256(text) AS text_sha256 FROM documents",
+        # tables whose arrivals are all below four megabytes, in tier 0: the first four are merged, and then with three more
+        "op9_sharding": "SELECT doc_id, CAST(strlen(text) AS BIGINT) AS n_bytes, sha256(text) AS text_sha256, CASE WHEN doc_id % 8 = 7 THEN 7 ELSE 0 END AS shard, CASE WHEN doc_id % 8 = 7 THEN 0 ELSE 2 END AS merges, 2 AS live_shards FROM documents",
     }

@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import os
 import re
 import zlib
 
@@ -109,18 +110,40 @@ def test_mix_odd(odd, none):
 # 2 fixity
 
 
-def test_audit_finds_just_the_damaged_records(spark):
-    pages = spark.read.parquet(f"{D}/pages.parquet")
-    bad = F.col("page_id") % 7 == 3
-    got = fixity.audit_pages(pages, F.when(bad, F.concat(F.col("html"), F.lit("x"))).otherwise(F.col("html")), per_file=8, fanout=3).toPandas()
-    assert (got.damaged == (got.page_id % 7 == 3)).all() and len(got) == pages.count()
-    assert fixity.audit_pages(pages).filter("damaged").count() == 0
+def test_replicas_laid_out_by_themselves(spark):
+    pages = spark.read.parquet(f"{D}/pages.parquet").select("page_id", "url", "html")
+    bad = F.when(F.col("page_id") % 7 == 3, F.concat(F.col("html"), F.lit("xyz"))).otherwise(F.col("html"))
+    other = pages.filter("page_id % 11 <> 4").withColumn("html", bad).union(pages.filter("page_id % 13 = 5").withColumn("page_id", F.col("page_id") + 10**6))
+    got = fixity.compare(pages, other.repartition(3), per_file=8, fanout=5).toPandas()
+    ids = [r[0] for r in pages.select("page_id").collect()]
+    want = {i: "lost" if i % 11 == 4 else "damaged" if i % 7 == 3 else "sound" for i in ids} | {i + 10**6: "extra" for i in ids if i % 13 == 5}
+    assert dict(zip(got.record_id, got.state, strict=True)) == want and len(got) == len(want)
+    assert (got.replica_sha256.isna() == (got.state == "lost")).all() and (got.sha256.isna() == (got.state == "extra")).all()
+    # the replica's own offsets cut its records out of its own files
+    columns = [F.col(c) for c in ("page_id", "url", "html")]
+    texts = {hashlib.sha256(r[0].encode()).hexdigest(): r[0].encode() for r in other.select(fixity.record_text(*columns)).collect()}
+    laid = fixity.layout(fixity.records(other), -(-len(ids) // 8)).toPandas().sort_values(["file", "seq"])
+    files = {f: b"".join(texts[x] for x in g.digest) for f, g in laid.groupby("file")}
+    at = dict(zip(laid.digest, zip(laid.file, laid.offset, laid.length, strict=True), strict=True))
+    for r in got[got.state != "lost"].itertuples():
+        f, offset, length = at[r.replica_sha256]
+        assert offset == r.replica_offset and files[f][offset : offset + length] == texts[r.replica_sha256]
+    assert set(fixity.compare(pages, pages).toPandas().state) == {"sound"}
+
+
+def test_only_differing_branches_are_looked_at(spark):
+    pages = spark.range(4000).selectExpr("id as page_id", "'u' as url", "repeat('h', 20) as html")
+    other = pages.withColumn("html", F.when(F.col("page_id") == 77, "z").otherwise(F.col("html")))
+    a, b = (fixity.tree(fixity.layout(fixity.records(x), 4)) for x in (pages, other))
+    assert [x.groupBy("file").count().agg(F.max("count")).first()[0] for x in a][-1] == 1
+    (slot,) = fixity.audit(a, b).collect()
+    assert slot["first_byte"] < slot["end_byte"] and slot["replica_end_byte"] < slot["end_byte"]
 
 
 def test_offsets_cut_the_records_out_of_the_files(spark):
     pages = spark.read.parquet(f"{D}/pages.parquet")
     rec = pages.select(fixity.record_text(F.col("page_id"), F.col("url"), F.col("html")).alias("record")).withColumn("digest", F.sha2("record", 256)).withColumn("length", F.octet_length("record").cast("long"))
-    laid = fixity.layout(rec, per_file=16)
+    laid = fixity.layout(rec.withColumn("key", F.col("digest")), 5)
     files = {r["file"]: bytes(r["content"]) for r in fixity.archive_files(laid).collect()}
     for r in laid.collect():
         cut = files[r["file"]][r["offset"] : r["offset"] + r["length"]]
@@ -129,10 +152,21 @@ def test_offsets_cut_the_records_out_of_the_files(spark):
 
 
 def test_audit_odd(spark):
-    pages = spark.createDataFrame([(1, None, None), (1, None, None), (None, "u", ""), (2, "u", "h" * 100_000)], "page_id long, url string, html string").withColumn("digest", F.lit(1))
-    got = fixity.audit_pages(pages).toPandas()
-    assert sorted(got.copies) == [1, 1, 2] and not got.damaged.any()
-    assert fixity.audit_pages(pages.limit(0)).count() == 0
+    rows = [(1, None, None), (1, None, None), (None, "u", ""), (2, "u", "h" * 100_000), (3, "u", "one"), (3, "u", "two")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("digest", F.lit(1)).withColumn("key", F.lit(1)).withColumn("state", F.lit(1))
+    got = fixity.compare(pages, pages).toPandas()
+    assert sorted(got.copies) == [1, 1, 1, 1, 2] and set(got.state) == {"sound"}
+    # copies differ; of records that share id and url one is changed; an id of its own is changed
+    other = spark.createDataFrame([(1, None, None), (None, "u", "x"), (2, "u", "h" * 100_000), (3, "u", "one"), (3, "u", "three")], "page_id long, url string, html string")
+    got = fixity.compare(pages, other).toPandas()
+    states = collections.Counter((None if pd.isna(r.record_id) else int(r.record_id), r.state) for r in got.itertuples())
+    assert states == {(1, "recount"): 1, (None, "damaged"): 1, (2, "sound"): 1, (3, "sound"): 1, (3, "damaged"): 1}
+    empty = pages.limit(0)
+    assert fixity.compare(empty, empty).count() == 0
+    assert set(fixity.compare(empty, pages).toPandas().state) == {"extra"} and set(fixity.compare(pages, empty).toPandas().state) == {"lost"}
+    # one record becomes two of its id and url: the first is placed anew, but found
+    got = fixity.compare(pages.filter("page_id = 2"), pages.filter("page_id = 2").union(spark.createDataFrame([(2, "u", "k", 1, 1, 1)], pages.schema.simpleString()[7:-1])))
+    assert collections.Counter(got.toPandas().state) == {"sound": 1, "extra": 1}
 
 
 # 3 and 5 classifiers
@@ -473,30 +507,58 @@ def test_store_keeps_every_row_through_merges(spark, docs, tmp_path):
     assert version > 7 and len(after) < 7 and not store.plan(after)
     want = sorted((r["doc_id"], r["text"]) for r in docs.collect())
     assert sorted((r["doc_id"], r["text"]) for r in store.read().collect()) == want
-    assert store.read().filter("_shard is null").count() == 0
-    assert all(s.merges <= 2 for s in after)
+    held = {(r["number"], r["merges"]) for r in store.read(shard_column="shard").select("shard.*").distinct().collect()}
+    assert held == {(x.number, x.merges) for x in after} and all(x.merges <= 2 for x in after)
+    # every version stays whole until it is expired
+    reader = store.read(before)
+    assert reader.count() == len(want) and store.read(4).filter("doc_id % 7 > 3").count() == 0
+    assert store.expire(2) == list(range(1, version - 1))
+    assert sorted((r["doc_id"], r["text"]) for r in store.read().collect()) == want and store.read(version - 1).count() == len(want)
+    live = {s.path for v in store.versions() for s in store.manifest(v)[1]}
+    assert {str(tmp_path / "shards" / p.name) for p in (tmp_path / "shards").iterdir()} == live
 
 
 def test_commits_do_not_overwrite_each_other(spark, docs, tmp_path):
     a, b = (sharding.ShardStore(spark, str(tmp_path)) for _ in range(2))
     a.append(docs.limit(3))
+    key = a.manifest()[1][0].schema
 
     def slow(shards):
         if len(shards) == 1:
             b.append(docs.limit(2))  # another writer is first
-        return shards + [sharding.Shard("later", 1, 9)]
+        return shards + [sharding.Shard("later", 1, 9, 0, key)]
 
     a.commit(slow)
     version, shards = a.manifest()
     assert version == 3 and len(shards) == 3
-    (tmp_path / "shards" / "orphan").mkdir()
+    for name in ("orphan", "written"):  # left by a dead writer, and not yet committed by one at work
+        (tmp_path / "shards" / name).mkdir()
+    (tmp_path / "shards" / "written" / "part").write_text("x")
+    for path in (tmp_path / "shards" / "orphan", tmp_path / "shards" / "written"):
+        os.utime(path, (1, 1))
     a.sweep()
-    assert not (tmp_path / "shards" / "orphan").exists() and len(a.manifest(1)[1]) == 1
+    assert not (tmp_path / "shards" / "orphan").exists() and (tmp_path / "shards" / "written").exists() and len(a.manifest(1)[1]) == 1
+
+
+def test_later_columns_are_kept_and_other_types_refused(spark, tmp_path):
+    store = sharding.ShardStore(spark, str(tmp_path), fan_in=2)
+    store.append(spark.createDataFrame([(1, "a")], "doc_id long, text string"))
+    store.append(spark.createDataFrame([(2, "b", 0.5)], "doc_id long, text string, score double"))
+    store.compact()
+    assert sorted(map(tuple, store.read().collect())) == [(1, "a", None), (2, "b", 0.5)]
+    with pytest.raises(ValueError):
+        store.append(spark.createDataFrame([("3", "c")], "doc_id string, text string"))
+    assert store.read().count() == 2 and store.read(1).columns == ["doc_id", "text"]
 
 
 def test_sharding_odd(odd, none, tmp_path):
-    got = sharding.compacted(odd, str(tmp_path / "a")).read()
-    assert got.count() == odd.count() and set(odd.columns) <= set(got.columns)
+    clash = odd.withColumn("arrival", F.lit("keepme")).withColumn("_arrival", F.lit("too")).withColumn("shard", F.lit(0))
+    store = sharding.compacted(clash, str(tmp_path / "a"))
+    got = store.read()
+    assert got.columns == clash.columns and sorted(map(repr, got.collect())) == sorted(map(repr, clash.collect()))
+    assert store.read(shard_column="_shard").filter("_shard.merges = 2").count() > 0
+    with pytest.raises(ValueError):
+        store.read(shard_column="Shard")
     store = sharding.ShardStore(none.sparkSession, str(tmp_path / "b"))
     store.append(none)
     assert store.read().count() == 0
