@@ -4,11 +4,18 @@ Features of a text: density of lexicon words as written and after undoing
 obfuscation (look-alike digits and signs, punctuation inside words, letters drawn
 out), how many of them stand close to a second-person word, capitals, punctuation
 and signs, and length. The lexicon is a short list of plain insults joined by
-words that the labelled sample shows to come with the label. Trees are fitted on
-three parts of the sample; their margins are calibrated by isotonic regression
-(pool adjacent violators) on the fourth.
-
-Defined results: null and empty texts, and texts of white space, have features of
+words that the labelled sample shows to come with the label, each learned as written
+and as rewritten. A learned word is in a `least_share` of the toxic texts of the
+sample at least, so there are at most 1 / `least_share` times as many as a toxic text
+has distinct words on average. Trees are fitted on three parts of the sample; their
+margins are calibrated by isotonic regression (pool adjacent violators) on the fourth.
+
+To undo obfuscation, an exclamation mark is dropped unless letters or digits stand on
+both its sides, look-alikes are read as letters, punctuation is dropped, and a run of
+one letter is cut to one, in texts and in the lexicon alike.
+
+Defined results: ties in a margin share a calibrated score; ties between splits go to
+the first feature and the lowest edge. An empty table gives an empty table. null and empty texts, and texts of white space, have features of
 zero and get the score of those. Repeated rows are scored each. Without labels, or
 with labels of one class only, the score is 0, or that class's. Very long texts
 count whole. Other columns are not read; `stage` carries them.
@@ -17,13 +24,14 @@ count whole. Other columns are not read; `stage` carries them.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import collect_bounded, cut, fold, short_batches
+from iterspark.llm.common import cut, fold, short_batches
 from iterspark.llm.labelled import MOST_LABELLED, training_rows
 from iterspark.llm.textvec import Block, blocks, words
 
@@ -53,18 +61,46 @@ FEATURES = ["lexicon", "lexicon_count", "obfuscated", "obfuscated_count", "near_
 
 
 def _rewritten(block: Block, table: np.ndarray, squeeze: bool) -> Block:
-    """The block with bytes mapped and in-word punctuation gone; `squeeze` also cuts runs of three or more."""
-    keep = _PLAIN_KEEP[block.data] | False
-    data = table[block.data]
-    if squeeze and len(data) > 2:
-        keep[2:] &= ~((data[2:] == data[1:-1]) & (data[1:-1] == data[:-2]) & _IS["letter"][data[2:]])
-    at = np.concatenate(([0], np.cumsum(keep)))
-    return Block(block.first, block.last, data[keep], at[block.bounds])
+    """The block with bytes mapped and punctuation around words gone; `squeeze` also drops it inside and cuts runs of a letter to one."""
+    raw = block.data
+    word = _IS["letter"][raw] | _IS["digit"][raw]
+    inner = np.zeros(len(raw), dtype=bool)
+    inner[1:-1] = word[:-2] & word[2:]
+    some = np.diff(block.bounds) > 0  # a text's first and last byte have no neighbour beyond it
+    inner[block.bounds[:-1][some]] = inner[block.bounds[1:][some] - 1] = False
+    mark = _IS["exclaim"][raw]
+    keep = _PLAIN_KEEP[raw] & (inner | ~mark) if squeeze else inner | (_PLAIN_KEEP[raw] & ~mark)
+    data = table[raw]
+    if squeeze:
+        at = np.flatnonzero(keep)  # neighbours once punctuation is gone
+        last = data[at]
+        again = np.zeros(len(at), dtype=bool)
+        again[1:] = (last[1:] == last[:-1]) & _IS["letter"][last[1:]] & (last[1:] < 128)
+        text = np.searchsorted(block.bounds, at, side="right")
+        again[1:] &= text[1:] == text[:-1]
+        keep[at[again]] = False
+    places = np.concatenate(([0], np.cumsum(keep)))
+    return Block(block.first, block.last, data[keep], places[block.bounds])
+
+
+def lexicon_hashes(texts: list[str], squeezed: bool = True) -> np.ndarray:
+    block = next(blocks(pa.array([" ".join(texts)])))
+    return np.unique(words(_rewritten(block, _LEET if squeezed else _LOWER, squeezed)).hash)
 
 
-def lexicon_hashes(texts: list[str]) -> np.ndarray:
-    block = next(blocks(pa.array([" ".join(texts)])))
-    return np.unique(words(_rewritten(block, _LEET, True)).hash)
+@dataclass(frozen=True)
+class Lexicon:
+    """Hashes of words as written in small letters, and as rewritten."""
+
+    plain: np.ndarray
+    rewritten: np.ndarray
+
+    @staticmethod
+    def of(texts: list[str]) -> Lexicon:
+        return Lexicon(lexicon_hashes(texts, False), lexicon_hashes(texts))
+
+    def joined(self, plain: np.ndarray, rewritten: np.ndarray) -> Lexicon:
+        return Lexicon(np.union1d(self.plain, plain), np.union1d(self.rewritten, rewritten))
 
 
 def _has(hashes: np.ndarray, lexicon: np.ndarray) -> np.ndarray:
@@ -73,7 +109,7 @@ def _has(hashes: np.ndarray, lexicon: np.ndarray) -> np.ndarray:
     return lexicon[np.minimum(np.searchsorted(lexicon, hashes), len(lexicon) - 1)] == hashes
 
 
-def features(column: pa.Array, lexicon: np.ndarray, near: int = 4) -> np.ndarray:
+def features(column: pa.Array, lexicon: Lexicon, near: int = 4) -> np.ndarray:
     you = lexicon_hashes(SECOND_PERSON)
     out = []
     for block in blocks(column):
@@ -83,8 +119,8 @@ def features(column: pa.Array, lexicon: np.ndarray, near: int = 4) -> np.ndarray
         def per_doc(doc: np.ndarray, hit: np.ndarray, n: int = n_docs) -> np.ndarray:
             return np.bincount(doc[hit], minlength=n).astype(float)
 
-        hit_leet = _has(leet.hash, lexicon)
-        lex, obf = per_doc(plain.doc, _has(plain.hash, lexicon)), per_doc(leet.doc, hit_leet)
+        hit_leet = _has(leet.hash, lexicon.rewritten)
+        lex, obf = per_doc(plain.doc, _has(plain.hash, lexicon.plain)), per_doc(leet.doc, hit_leet)
         second = _has(leet.hash, you)
         # the nearest second-person word on either side, in the same text
         at = np.arange(len(second))
@@ -190,7 +226,7 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class Detector:
     def __init__(self) -> None:
         self.constant: float | None = None
-        self.lexicon = lexicon_hashes(INSULTS)
+        self.lexicon = Lexicon.of(INSULTS)
 
     def fit(self, x: np.ndarray, y: np.ndarray, held: np.ndarray) -> Detector:
         if not len(y) or y.min() == y.max():
@@ -211,31 +247,32 @@ class Detector:
         return np.clip(np.interp(self.trees.margin(features(column, self.lexicon)), *self.knots), 0, 1)
 
 
-def _learned_lexicon(rows: DataFrame, least_share: float, least_odds: float, most: int) -> np.ndarray:
-    """Hashes of words that come with the label: in `least_share` of the texts so labelled, odds ratio `least_odds`."""
+def _learned_lexicon(rows: DataFrame, least_share: float, least_odds: float) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of words that come with the label, as written and as rewritten: in `least_share` of the texts so labelled, odds ratio `least_odds`."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             y = b.column("y").to_numpy(zero_copy_only=False)
             for block in blocks(b.column("text")):
-                w = words(_rewritten(block, _LEET, True))
-                if len(w.hash):
-                    pairs = np.unique(np.rec.fromarrays([w.hash, w.doc], names="h,d"))
-                    yield pa.RecordBatch.from_arrays([pa.array(pairs.h.view(np.int64)), pa.array(y[block.first : block.last][pairs.d])], names=["h", "y"])
+                for form, (table, squeeze) in enumerate(((_LOWER, False), (_LEET, True))):
+                    w = words(_rewritten(block, table, squeeze))
+                    if len(w.hash):
+                        pairs = np.unique(np.rec.fromarrays([w.hash, w.doc], names="h,d"))
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pairs), form, dtype=np.int32)), pa.array(pairs.h.view(np.int64)), pa.array(y[block.first : block.last][pairs.d])], names=["form", "h", "y"])
 
     counts = rows.agg(F.sum("y"), F.count("*")).first()
     bad, good = float(counts[0] or 0), float((counts[1] or 0) - (counts[0] or 0))
-    by_word = rows.filter("part < 4").mapInArrow(run, "h long, y double").groupBy("h").agg(F.sum("y").alias("bad"), (F.count("*") - F.sum("y")).alias("good"))
+    by_word = rows.filter("part < 4").mapInArrow(run, "form int, h long, y double").groupBy("form", "h").agg(F.sum("y").alias("bad"), (F.count("*") - F.sum("y")).alias("good"))
     odds = (F.col("bad") / max(bad, 1)) / ((F.col("good") + 1) / max(good, 1))
-    found = by_word.filter((F.col("bad") >= max(5.0, least_share * bad)) & (odds >= least_odds)).orderBy(F.desc("bad"), "h").limit(most)
-    return np.array([r["h"] for r in collect_bounded(found, most, "lexicon")], dtype=np.int64).view(np.uint64)
+    found = by_word.filter((F.col("bad") >= max(5.0, least_share * bad)) & (odds >= least_odds)).select("form", "h").collect()  # bounded: see the module's text
+    return tuple(np.array(sorted(r["h"] for r in found if r["form"] == form), dtype=np.int64).view(np.uint64) for form in (0, 1))
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", most_labelled: int = MOST_LABELLED, least_share: float = 0.02, least_odds: float = 50.0, most_lexicon: int = 5000) -> Detector:
-    """`most_labelled` bounds the sample and `most_lexicon` the learned words, the most frequent first."""
+def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", most_labelled: int = MOST_LABELLED, least_share: float = 0.02, least_odds: float = 50.0) -> Detector:
+    """`most_labelled` bounds the sample."""
     rows = cut(training_rows(docs, labels, label, most_labelled))
     model = Detector()
-    model.lexicon = np.union1d(model.lexicon, _learned_lexicon(rows, least_share, least_odds, most_lexicon))
+    model.lexicon = model.lexicon.joined(*_learned_lexicon(rows, least_share, least_odds))
     shared = docs.sparkSession.sparkContext.broadcast(model.lexicon)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

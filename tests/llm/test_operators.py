@@ -231,9 +231,86 @@ def test_training_rows_are_bounded_and_leave_the_held_out_fold(docs, labels):
 
 
 def test_obfuscated_insults_count():
-    x = toxicity.features(pa.array(["you 1d10t", "you i.d.i.o.t", "you IDIOOOOT", "you idiot", "fine words", ""]), toxicity.lexicon_hashes(["idiot"]))
+    texts = ["you 1d10t", "you i.d.i.o.t", "you IDIOOOOT", "you idiot", "fine words", "", "idiot! you!", "you id!ot!!", "idiiott", "i-d-i-i-o-t"]
+    x = toxicity.features(pa.array(texts), toxicity.Lexicon.of(["idiot"]))
     f = {n: x[:, i] for i, n in enumerate(toxicity.FEATURES)}
-    assert list(f["obfuscated_count"]) == [1, 1, 0, 1, 0, 0] and f["near_you"][3] > 0 == f["near_you"][4]
+    assert list(f["obfuscated_count"]) == [1, 1, 1, 1, 0, 0, 1, 1, 1, 1]
+    assert list(f["lexicon_count"]) == [0, 0, 0, 1, 0, 0, 1, 0, 0, 0]
+    assert list(f["near_you"] > 0) == [1, 1, 1, 1, 0, 0, 1, 1, 0, 0]
+
+
+def test_features_by_brute_force(docs):
+    """Lexicon words, second-person proximity, capitals, punctuation and obfuscation rates of whole texts, word by word."""
+    bad, you = ["the", "stupid", "hate"], set(toxicity.SECOND_PERSON)
+    texts = [r["text"] for r in docs.limit(60).collect()] + ["YOU are 5tup1d!! hate-you, h.a.t.e", "u $tupid u", "a  hate\tb c d e you", "Stuuupid @@ ##x", *ODD_TEXTS[:7]]
+    x = toxicity.features(pa.array(texts), toxicity.Lexicon.of(bad))
+    f = {n: x[:, i] for i, n in enumerate(toxicity.FEATURES)}
+    looks = dict(zip("0134578@$!", "oieastbasi", strict=True))
+    drop = set(".,;:?\"'()[]{}-_*|~/\\`^+=#%&<>")
+    alnum = re.compile(r"[A-Za-z0-9\u0080-\U0010ffff]")
+    low = lambda s: "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in s)
+
+    def forms(w):
+        inner = [0 < i < len(w) - 1 and alnum.match(w[i - 1]) and alnum.match(w[i + 1]) for i in range(len(w))]
+        plain = [c for c, ok in zip(w, inner, strict=True) if ok or (c not in drop and c != "!")]
+        leet = [looks.get(c, low(c)) for c, ok in zip(w, inner, strict=True) if c not in drop and (ok or c != "!")]
+        return low("".join(plain)), "".join(c for i, c in enumerate(leet) if not (i and c == leet[i - 1] and "a" <= c <= "z"))
+
+    squeezed = {forms(w)[1] for w in bad}
+    people = {forms(w)[1] for w in you}
+    for i, t in enumerate(texts):
+        w, size = words(t), max(len((t or "").encode()), 1)
+        plain, leet = [p for p, _ in map(forms, w) if p], [q for _, q in map(forms, w) if q]
+        lex, hits = sum(p in bad for p in plain), [j for j, q in enumerate(leet) if q in squeezed]
+        near = [j for j in hits if any(leet[k] in people for k in range(max(0, j - 4), min(len(leet), j + 5)))]
+        n = max(len(w), 1)
+        want = {"lexicon": lex / n, "obfuscated": max(len(hits) - lex, 0) / n, "near_you": len(near) / n, "second_person": sum(q in people for q in leet) / n}
+        want |= {"upper": sum("A" <= c <= "Z" for c in t or "") / size, "exclaim": (t or "").count("!") / size, "sign": sum(c in "@#$%&*^~+=<>|_/\\" for c in t or "") / size, "log_words": np.log1p(len(w))}
+        for name, v in want.items():
+            assert f[name][i] == pytest.approx(v, abs=1e-12), (name, t and t[:60])
+
+
+def test_gradients_and_temperature_by_brute_force():
+    """One step of training from the same start: the network's gradient by differences; the temperature by search."""
+    rng = np.random.default_rng(4)
+    x, y = rng.normal(size=(40, 5)), (rng.random(40) < 0.4).astype(float)
+    net = quality_classifier.Network(hidden=3, epochs=1, rate=1e-3, decay=0.0).fit(x, y, np.zeros(40, dtype=bool))
+    start = quality_classifier.Network(hidden=3, epochs=0, decay=0.0).fit(x, y, np.zeros(40, dtype=bool))
+    z = (x - start.mean) / start.std
+
+    def loss(w):
+        logit = np.tanh(z @ w[0] + w[1]) @ w[2] + w[3]
+        return np.mean(np.logaddexp(0, np.where(y > 0.5, -logit, logit)))
+
+    for k, a in enumerate(start.w):
+        for at in np.ndindex(a.shape):
+            up, down = [b.copy() for b in start.w], [b.copy() for b in start.w]
+            up[k][at] += 1e-6
+            down[k][at] -= 1e-6
+            slope = (loss(up) - loss(down)) / 2e-6
+            if abs(slope) > 1e-4:  # the first step of the optimiser goes `rate` against the gradient's sign
+                assert net.w[k][at] - a[at] == pytest.approx(-1e-3 * np.sign(slope), rel=1e-2)
+    held = np.arange(40) % 2 == 0
+    net = quality_classifier.Network(hidden=8, epochs=200).fit(x, y, held)
+    logit = net._logit(((x - net.mean) / net.std)[held])
+    grid = np.linspace(0.25, 8, 4000)
+    best = min(np.mean(np.logaddexp(0, np.where(y[held] > 0.5, -logit, logit) / t)) for t in grid)
+    assert net.temperature > 1 and np.mean(np.logaddexp(0, np.where(y[held] > 0.5, -logit, logit) / net.temperature)) <= best + 1e-4
+
+
+def test_a_tree_splits_where_all_splits_tried_are_worse():
+    rng = np.random.default_rng(1)
+    x, y = rng.integers(0, 6, (400, 3)).astype(float), (rng.random(400) < 0.5).astype(float)
+    y[x[:, 1] > 3] = 1
+    (splits, value), *_ = toxicity.Trees(rounds=1, depth=1, rate=1.0, least=5, shrink=5.0).fit(x, y).trees
+    p = np.clip(y.mean(), 1e-4, 1 - 1e-4)
+    g, h = y - p, np.full(400, p * (1 - p))
+    score = lambda m: g[m].sum() ** 2 / (h[m].sum() + 5)
+    tried = {(k, t): score(x[:, k] <= t) + score(x[:, k] > t) for k in range(3) for t in range(5)}
+    (feature, edge), _ = max(tried.items(), key=lambda kv: kv[1])
+    assert splits[0][0] == feature and edge <= splits[0][1] < edge + 1
+    left = x[:, feature] <= edge
+    assert value == pytest.approx([g[left].sum() / (h[left].sum() + 5), g[~left].sum() / (h[~left].sum() + 5)])
 
 
 def test_isotonic_and_trees():
@@ -419,7 +496,6 @@ def hf_ids(texts):
     from tokenizers import Tokenizer
 
     tk = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    tk.encode_special_tokens = True
     return [np.array([*e.ids, 0], dtype="<u4") for e in tk.encode_batch([x or "" for x in texts], add_special_tokens=False)]
 
 
@@ -452,12 +528,8 @@ def test_packing_round_trip(docs):
 
 
 def test_special_strings_have_the_ids_of_the_tokenizer_by_default(spark):
-    import public_tokenizers
-    from tokenizers import Tokenizer
-
-    texts = ["one<|endoftext|>two", "<|endoftext|>", "a <|endoftext|>\n<|endoftext|> b", "<|endoftext", " <|endoftext|><|endoftext|> ", "<|ENDOFTEXT|> <|pad|> plain"]
-    tk = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    ids = {i: np.array([*tk.encode(x, add_special_tokens=False).ids, 0], dtype="<u4") for i, x in enumerate(texts)}
+    texts = ["one<|endoftext|>two", "<|endoftext|>", "a <|endoftext|>\n<|endoftext|> b", "<|endoftext", " <|endoftext|><|endoftext|> ", "<|ENDOFTEXT|> <|pad|> plain", "hello <|endoftext|> world", *ODD_TEXTS]
+    ids = dict(enumerate(hf_ids(texts)))
     got = packing.pack(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), packing.default_ranks()).toPandas()
     assert set(got.doc_id) == set(ids) and list(ids[1]) == [50256, 0]
     check_pieces(got, ids)
