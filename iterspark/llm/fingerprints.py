@@ -12,15 +12,17 @@ A fingerprint is the sorted hashes, 12 hex digits each, joined.
 
 Defined results: null and empty texts, and texts of white space, have the empty
 fingerprint; two of these are alike (1), one and any other are not (0). Texts of
-one to four words have one shingle. Rows with the same doc_id follow each other
-by the text's hash, and by all else alike in any order. With one row the next
-document is the row itself. Very long texts are sketched whole. Columns other than
+one to four words have one shingle. Null ids come last. Rows with the same doc_id (ties)
+follow each other by the text's hash, and rows alike in both in any order, which changes
+no result. With one row the next document is the row itself. An empty table gives an
+empty table. Very long texts are sketched whole. Columns other than
 the id and the text are not read.
 """
 
 from __future__ import annotations
 
 import math
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -106,23 +108,40 @@ def with_next(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", ro
     """doc_id, text, n_chars, edited, following: each document with its successor in descending id.
 
     Documents are dealt to ranges of the id between quantiles, each a window of its
-    own; the last of a range takes the first of the next as its successor.
+    own; the last of a range takes the first of the next as its successor. An id that
+    spans several quantiles (or null, where many ids are null) is a range of its own,
+    dealt on by parts of the text's hash, in which its rows are ordered.
     """
     base = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    count, low, nulls = base.agg(F.count("*"), F.min("doc_id"), F.max(F.col("doc_id").isNull().cast("int"))).first()
+    count, low, nulls = base.agg(F.count("*"), F.min("doc_id"), F.count_if(F.col("doc_id").isNull())).first()
     wanted = min(most_ranges, max(1, -(-count // rows_per_range)))
     edges: list[int] = []
+    parts: dict[int | None, int] = {}
     if wanted > 1 and low is not None:
         cuts = base.agg(F.percentile_approx("doc_id", [i / wanted for i in range(1, wanted)], 10 * wanted)).first()[0]
-        edges = sorted(set(cuts) - {low})  # each is an id that occurs, so no range is empty
+        parts = {i: n + 1 for i, n in Counter(cuts).items() if n > 1}
+        beyond = {i + 1 for i in parts if i < 2**63 - 1}
+        edges = sorted((set(cuts) | beyond) - {low})
+    if nulls > max(1, count // wanted):
+        parts[None] = -(-nulls * wanted // count)
     last = len(edges) + (1 if nulls else 0) if low is not None else 0
     where = _above(edges, F.col("doc_id")) if edges else F.lit(0)
     ranged = base.withColumn("_range", F.when(F.col("doc_id").isNull(), F.lit(last)).otherwise(where).cast("int")).withColumn("_tie", F.xxhash64("text"))
+    if parts:
+        # at most half as many rows as there are ranges
+        known = base.sparkSession.createDataFrame([(i is None, i or 0, n) for i, n in parts.items()], "_none boolean, _id long, _parts int")
+        ranged = ranged.join(F.broadcast(known), (F.col("doc_id").isNull() == F.col("_none")) & (F.coalesce("doc_id", F.lit(0)) == F.col("_id")), "left")
+        part = F.floor((F.col("_tie") / F.lit(2.0**64) + 0.5) * F.col("_parts"))
+        ranged = ranged.withColumn("_part", F.coalesce(F.least(part, F.col("_parts") - 1), F.lit(0)).cast("int")).drop("_none", "_id", "_parts")
+        order = sorted((r["_range"], r["_part"]) for r in ranged.select("_range", "_part").distinct().collect())
+    else:  # every edge is an id that occurs, so no range is empty
+        ranged, order = ranged.withColumn("_part", F.lit(0)), [(i, 0) for i in range(last + 1)]
+    after = base.sparkSession.createDataFrame([(*own, *order[(i + 1) % len(order)]) for i, own in enumerate(order)] or [(0, 0, 0, 0)], "_range int, _part int, _r int, _p int")
     first = F.struct(F.coalesce("doc_id", F.lit(0)).alias("id"), (-F.col("_tie").cast("decimal(20,0)")).alias("tie"))
-    heads = ranged.groupBy("_range").agg(F.max_by("text", first).alias("_head"))
-    heads = heads.select(F.when(F.col("_range") == 0, last).otherwise(F.col("_range") - 1).alias("_range"), "_head")
-    own = Window.partitionBy("_range").orderBy(F.col("doc_id").desc(), "_tie")
-    led = ranged.withColumn("_next", F.lead("text").over(own)).join(heads, "_range")
+    heads = ranged.groupBy("_range", "_part").agg(F.max_by("text", first).alias("_head")).withColumnsRenamed({"_range": "_r", "_part": "_p"})
+    heads = heads.join(F.broadcast(after), ["_r", "_p"]).drop("_r", "_p")
+    own = Window.partitionBy("_range", "_part").orderBy(F.col("doc_id").desc(), "_tie")
+    led = ranged.withColumn("_next", F.lead("text").over(own)).join(heads, ["_range", "_part"])
     following = F.coalesce("_next", "_head")
     n = F.length("text")
     half = F.floor(n / 2).cast("int")

@@ -69,8 +69,10 @@ def _newton(stats: DataFrame, want: dict, scale: dict, cap: float, steps: int =
         x = F.col("size") / F.col("_scale")
         tilt = F.exp(F.least(F.col("_lam") * x, F.lit(math.log(cap) + 1)))
         rate = F.least(tilt, F.lit(float(cap)))
+        # decimals add up alike in any order, so that runs agree to the bit
+        exact = lambda v: F.sum(v.cast("decimal(38,8)")).cast("double")
         sums = stats.join(F.broadcast(now), ["_none", "_key"]).groupBy("_none", "_key").agg(
-            F.sum(rate * F.col("size") * F.col("n")).alias("g"), F.sum(F.when(tilt < cap, tilt * x * F.col("size") * F.col("n")).otherwise(0.0)).alias("h")
+            exact(rate * F.col("size") * F.col("n")).alias("g"), exact(F.when(tilt < cap, tilt * x * F.col("size") * F.col("n")).otherwise(0.0)).alias("h")
         )
         for r in sums.collect():
             s = None if r["_none"] else r["_key"]

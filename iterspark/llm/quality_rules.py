@@ -1,8 +1,8 @@
 """Quality rules by distribution divergence, in DataFrame functions only.
 
 Each text gives two histograms: of character classes, and of common words of its
-language. Both are compared with the language's reference, the mean histogram of
-all its texts that pass the base rules and are long enough, by Jensen-Shannon
+language. Both are compared with the language's reference, given or the mean histogram
+of all its texts that pass the base rules and are long enough, by Jensen-Shannon
 distance (base 2, 0 to 1). Texts shorter than a guard are not judged by the
 histogram that the guard belongs to.
 
@@ -106,13 +106,42 @@ def _shares(counts: Column, total: Column) -> Column:
 
 
 def js_distance(p: Column, q: Column) -> Column:
-    """Jensen-Shannon distance of two share arrays of one length."""
+    """Jensen-Shannon distance of two share arrays of one length; null where one is null."""
 
     def half(a: Column, b: Column) -> Column:
         terms = F.zip_with(a, b, lambda x, y: F.when(x > 0, x * F.log2(2 * x / (x + y))).otherwise(F.lit(0.0)))
         return F.aggregate(terms, F.lit(0.0), lambda s, x: s + x)
 
-    return F.sqrt(F.greatest((half(p, q) + half(q, p)) / 2, F.lit(0.0)))
+    return F.when(p.isNotNull() & q.isNotNull(), F.sqrt(F.greatest((half(p, q) + half(q, p)) / 2, F.lit(0.0))))
+
+
+def _with_shares(counted: DataFrame, least_chars: int, least_words: int) -> DataFrame:
+    chars = F.aggregate("char_counts", F.lit(0), lambda s, x: s + x)
+    # word_hits ends with the number of listed words; the rest of the words make the last bin
+    bins = F.concat(F.slice("word_hits", 1, len(_LETTERS)), F.array(F.col("n_words").cast("int") - F.element_at("word_hits", -1)))
+    return counted.select(
+        "*",
+        F.when(chars >= least_chars, _shares(F.col("char_counts"), chars)).alias("_c"),
+        F.when(F.col("n_words") >= least_words, _shares(bins, F.col("n_words"))).alias("_v"),
+        F.coalesce(F.col("lang"), F.lit("")).alias("_lang"),
+    )
+
+
+def _means(shares: DataFrame) -> DataFrame:
+    """Mean histograms by language; null where no text of the language is long enough. Summed as decimals, so that no order shows."""
+
+    def mean(column: str, n: int) -> Column:
+        places = [F.avg(F.get(column, F.lit(i)).cast("decimal(20,12)")).cast("double") for i in range(n)]
+        return F.when(F.count(column) > 0, F.array(*places))
+
+    sound = shares.filter(~F.col("base_failed"))
+    return sound.groupBy(F.col("_lang").alias("lang")).agg(mean("_c", len(CHAR_CLASSES)).alias("char_shares"), mean("_v", len(_LETTERS) + 1).alias("word_shares"))
+
+
+def language_references(docs: DataFrame, *, text: str = "text", least_chars: int = 200, least_words: int = 100) -> DataFrame:
+    """(lang, char_shares, word_shares) of a corpus that is taken as the norm."""
+    # written first: the means read each count many times over
+    return _means(_with_shares(parked(base_columns(docs, text, ("lang",)), "references"), least_chars, least_words))
 
 
 def divergence_rules(
@@ -125,33 +154,21 @@ def divergence_rules(
     most_sum: float = 0.4,
     least_chars: int = 200,
     least_words: int = 100,
+    references: DataFrame | None = None,
 ) -> DataFrame:
     """`keep`, the base counts, base_failed, char_distance, word_distance and kept.
 
     A distance is null where its guard or a missing reference leaves the text unjudged.
     Each distance has its limit, and their sum another: a text that strays in both is odd.
+    `references`: (lang, char_shares, word_shares), such as `language_references` gives of a
+    trusted corpus; without them the corpus itself is the norm, which junk would bend.
     """
-    counted = parked(base_columns(docs, text, keep), "rules")
-    chars = F.aggregate("char_counts", F.lit(0), lambda s, x: s + x)
-    # word_hits ends with the number of listed words; the rest of the words make the last bin
-    bins = F.concat(F.slice("word_hits", 1, len(_LETTERS)), F.array(F.col("n_words").cast("int") - F.element_at("word_hits", -1)))
-    shares = counted.select(
-        "*",
-        F.when(chars >= least_chars, _shares(F.col("char_counts"), chars)).alias("_c"),
-        F.when(F.col("n_words") >= least_words, _shares(bins, F.col("n_words"))).alias("_v"),
-        F.coalesce(F.col("lang"), F.lit("")).alias("_lang"),
-    )
-    sound = shares.filter(~F.col("base_failed"))
-    n_c, n_v = len(CHAR_CLASSES), len(_LETTERS) + 1
-    means = sound.groupBy("_lang").agg(
-        F.array(*[F.avg(F.get("_c", F.lit(i))) for i in range(n_c)]).alias("_rc"),
-        F.array(*[F.avg(F.get("_v", F.lit(i))) for i in range(n_v)]).alias("_rv"),
-    )
-    rows = collect_bounded(means, MOST_LANGUAGES, "languages")
-    spark = docs.sparkSession
-    reference = spark.createDataFrame(
-        [(r["_lang"], None if None in r["_rc"] else r["_rc"], None if None in r["_rv"] else r["_rv"]) for r in rows], "_lang string, _rc array<double>, _rv array<double>"
-    )
+    shares = _with_shares(parked(base_columns(docs, text, keep), "rules"), least_chars, least_words)
+    if references is None:
+        references = _means(shares)
+    named = references.select(F.coalesce(F.col("lang"), F.lit("")).alias("lang"), "char_shares", "word_shares")
+    rows = collect_bounded(named, MOST_LANGUAGES, "languages")
+    reference = docs.sparkSession.createDataFrame([tuple(r) for r in rows], "_lang string, _rc array<double>, _rv array<double>")
     judged = shares.join(F.broadcast(reference), "_lang", "left")
     judged = judged.withColumn("char_distance", js_distance(F.col("_c"), F.col("_rc"))).withColumn("word_distance", js_distance(F.col("_v"), F.col("_rv")))
     by_char, by_word = (F.coalesce(F.col(c), F.lit(0.0)) for c in ("char_distance", "word_distance"))

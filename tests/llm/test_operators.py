@@ -396,6 +396,16 @@ def test_edits_and_fingerprints(spark, docs, per_range):
         assert r["following"] == nxt and r["edited"] == s[: len(s) - h] + nxt[:h] and r["n_chars"] == len(s)
 
 
+@pytest.mark.parametrize("hot", [None, 5])
+def test_successors_of_a_hot_id(spark, hot):
+    rows = [(i, f"text {i}") for i in range(100)] + [(hot, f"hot {i % 150}") for i in range(300)] + [(2**63 - 1, "z")] * 40
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(7)
+    got = [(r["doc_id"], r["text"], r["following"]) for r in fingerprints.with_next(df, rows_per_range=20).collect()]
+    tie = {r["text"]: r["h"] for r in df.select("text", F.xxhash64("text").alias("h")).collect()}
+    order = sorted(rows, key=lambda r: (r[0] is None, -(r[0] or 0), tie[r[1]]))
+    assert sorted(got, key=repr) == sorted(((*r, order[(i + 1) % len(order)][1]) for i, r in enumerate(order)), key=repr)
+
+
 def test_likeness_is_near_the_true_one(docs):
     got = fingerprints.fingerprint_documents(docs).toPandas().set_index("doc_id")
     rows = [(r["doc_id"], r["text"]) for r in docs.collect()]
@@ -475,6 +485,48 @@ def test_divergence_by_hand(spark):
     assert df.select(quality_rules.js_distance(F.col("p"), F.col("q"))).first()[0] == pytest.approx(np.sqrt((kl(p) + kl(q)) / 2))
 
 
+def test_verdicts_by_brute_force(docs):
+    """`kept` of whole texts: histograms, mean references, distances and guards in plain Python."""
+    got = {r["doc_id"]: r for r in quality_rules.divergence_rules(docs).collect()}
+    kinds = [lambda c: "a" <= c <= "z", lambda c: c in "\x20\t\n\x0b\x0c\r", lambda c: "A" <= c <= "Z", lambda c: "0" <= c <= "9", lambda c: c in "#*$%&|<>", lambda c: c in ".,;:!?'\"()-", lambda c: c > "\x7f"]
+    shares, own = {}, {}
+    for r in docs.collect():
+        t, w = r["text"] or "", words(r["text"])
+        counts = [0] * 8
+        for c in t:
+            counts[next((i for i, k in enumerate(kinds) if k(c)), 7)] += 1
+        listed = quality_rules.COMMON_WORDS.get(r["lang"])
+        hits = [w.count(x) for x in listed] if listed else None
+        c = np.array(counts) / len(t) if len(t) >= 200 else None
+        v = np.array([*hits, len(w) - sum(hits)]) / len(w) if hits and len(w) >= 100 else None
+        own[r["doc_id"]] = (r["lang"], c, v)
+        if not got[r["doc_id"]]["base_failed"]:
+            for k, x in (("c", c), ("v", v)):
+                if x is not None:
+                    shares.setdefault((r["lang"], k), []).append(x)
+
+    def distance(p, q):
+        m = (p + q) / 2
+        part = lambda a: sum(x * np.log2(x / y) for x, y in zip(a, m, strict=True) if x)
+        return np.sqrt(max((part(p) + part(q)) / 2, 0))
+
+    for i, (lang, c, v) in own.items():
+        d = [distance(x, np.mean(shares[lang, k], axis=0)) if x is not None and (lang, k) in shares else None for k, x in (("c", c), ("v", v))]
+        for name, want in zip(("char_distance", "word_distance"), d, strict=True):
+            assert (got[i][name] is None) == (want is None) and (want is None or got[i][name] == pytest.approx(want, abs=1e-6))
+        a, b = (x or 0 for x in d)
+        if min(abs(a - 0.32), abs(b - 0.33), abs(a + b - 0.4)) > 1e-6:
+            assert got[i]["kept"] == (not got[i]["base_failed"] and a <= 0.32 and b <= 0.33 and a + b <= 0.4)
+
+
+def test_given_references_are_the_norm(spark, docs):
+    norm = quality_rules.language_references(docs.filter("doc_id % 2 = 0"))
+    junk = docs.filter("doc_id % 2 = 1").limit(5).withColumn("text", F.expr("repeat('# 1 $ 2 % 3 ', 60) || cast(doc_id as string) || reverse(repeat(cast(doc_id as string), 30))"))
+    judged = quality_rules.divergence_rules(junk, references=norm).collect()
+    by_itself = quality_rules.divergence_rules(junk).collect()
+    assert len(judged) == 5 and all(r["char_distance"] > 0.32 for r in judged) and all(r["char_distance"] < 0.32 for r in by_itself if r["char_distance"] is not None)
+
+
 def test_rules_part_clean_from_junk(spark):
     d = "/root/testdata/sf0.01"
     m = quality_rules.divergence_rules(spark.read.parquet(f"{d}/documents.parquet")).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id").filter("not base_failed").toPandas()
