@@ -12,7 +12,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from iterspark.llm import components, fingerprints, fixity, labelled, mixing, near_dup, packing, quality_classifier, quality_rules, sharding, textvec, toxicity, url_filter
+from iterspark.llm import common, components, fingerprints, fixity, labelled, mixing, near_dup, packing, quality_classifier, quality_rules, sharding, textvec, toxicity, url_filter
 from iterspark.llm import queries as Q
 
 D = "/root/testdata/sf0.001"
@@ -803,6 +803,109 @@ def test_pipeline_and_queries(spark):
     assert (got.groupby("doc_id").length.sum() <= 2 * got.groupby("doc_id").doc_tokens.first()).all()
 
 
+def test_pipeline_stage_by_stage_by_brute_force(spark, tmp_path):
+    """Each stage on the last one's rows: what it keeps, from plain Python; then the pieces of the whole run."""
+    import corpus_pipeline
+
+    stages = dict(corpus_pipeline.STAGES)
+    docs = spark.read.parquet(f"{D}/documents.parquet")
+    rows = lambda df: sorted(((r["doc_id"], r["text"], r["lang"], r["source"]) for r in df.collect()), key=lambda r: (r[0], repr(r)))
+    fine = stages["quality_rules"](spark, docs, D).cache()
+    kept = {r["doc_id"] for r in quality_rules.divergence_rules(docs).filter("kept").collect()}
+    assert rows(fine) == [r for r in rows(docs) if r[0] in kept]
+    assert all(len(words(t)) >= 10 for _, t, _, _ in rows(fine))
+    clean = stages["toxicity"](spark, fine, D).cache()
+    model = toxicity.fit_toxicity(fine, spark.read.parquet(f"{D}/labels.parquet"))
+    score = dict(zip([r[0] for r in rows(fine)], model.score(pa.array([r[1] for r in rows(fine)])), strict=True))
+    assert rows(clean) == [r for r in rows(fine) if score[r[0]] < 0.5]
+    unlike = stages["near_duplicates"](spark, clean, D).cache()
+    own = rows(clean)
+    b = bags([r[1] for r in own])
+    top = list(range(len(own)))
+    for i in range(len(own)):
+        for j in range(i):
+            if likeness(b[i], b[j]) >= 0.8:
+                x, y = top[i], top[j]
+                top = [min(x, y) if t in (x, y) else t for t in top]
+    assert rows(unlike) == [own[i] for i in sorted(set(top))]
+    mixed = stages["mixing"](spark, unlike, D).cache()
+    times = collections.Counter(r[0] for r in rows(mixed))
+    size = {r[0]: len(words(r[1])) for r in rows(unlike)}
+    of = {r[0]: r[3] for r in rows(unlike)}
+    goal = mixing.targets({s: sum(size[i] for i in size if of[i] == s) for s in set(of.values())}, (3, 1, 2), 1.5, 2)
+    for s, want in goal.items():
+        assert abs(sum(times[i] * size[i] for i in size if of[i] == s) - want) <= max(size[i] for i in size if of[i] == s)
+    assert max(times.values()) <= 2 and set(times) <= set(size)
+    got = stages["packing"](spark, mixed, D).toPandas()
+    ids = {r[0]: i for r, i in zip(rows(unlike), hf_ids([r[1] for r in rows(unlike)]), strict=True)}
+    for doc, g in got.groupby("doc_id"):
+        assert g.length.sum() == times[doc] * len(ids[doc]) and (g.doc_tokens == len(ids[doc])).all()
+    whole = corpus_pipeline.run(spark, D).toPandas()
+    assert whole.groupby("doc_id").length.sum().to_dict() == got.groupby("doc_id").length.sum().to_dict()
+
+
+def test_pipeline_odd(spark, odd, docs, none, tmp_path):
+    import corpus_pipeline
+
+    shared = spark.conf.get("spark.checkpoint.dir")
+    before = {x for x in os.listdir(shared) if x.startswith("stage-")}
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 5000)
+    both = docs.unionByName(odd, allowMissingColumns=True).unionByName(docs.limit(40).withColumn("doc_id", F.lit(None).cast("long")), allowMissingColumns=True)
+    got = corpus_pipeline.run_on(spark, both, D).toPandas()
+    assert len(got) and (got.groupby("sequence_id").length.sum() <= 1024).all()
+    assert len({x for x in os.listdir(shared) if x.startswith("stage-")} - before) == 1  # the rows returned
+    assert spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "5000"
+    spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert corpus_pipeline.run_on(spark, none, D).count() == 0
+
+
+def test_a_cluster_without_a_shared_folder_is_an_error(spark, monkeypatch):
+    class Cluster:
+        master = "spark://host:7077"
+        _jsc = type("J", (), {"sc": lambda self: type("S", (), {"getCheckpointDir": lambda self: type("N", (), {"isDefined": lambda self: False})()})()})()
+
+    fake = type("Session", (), {"sparkContext": Cluster(), "conf": type("C", (), {"get": lambda self, k, d=None: d})()})()
+    with pytest.raises(ValueError, match="checkpoint"):
+        common.shared_folder(fake)
+
+
+def test_recall_of_near_duplicates_on_documents(spark):
+    """Classes against all pairs of whole documents, by one product of text-item matrices."""
+    d = "/root/testdata/sf0.01"
+    rows = spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "text").collect()
+    b = bags([r["text"] for r in rows])
+    of = {}
+    for i, bag in enumerate(b):
+        for item, n in bag.items():
+            for k in range(n):
+                of.setdefault((item, k), []).append(i)
+    common_items = [x for x in of.values() if len(x) > 1]
+    both = np.zeros((len(rows), len(rows)), dtype=np.float32)
+    for at in range(0, len(common_items), 4000):
+        m = np.zeros((len(rows), len(common_items[at : at + 4000])), dtype=np.float32)
+        for j, x in enumerate(common_items[at : at + 4000]):
+            m[x, j] = 1
+        both += m @ m.T
+    size = np.array([sum(x.values()) for x in b], dtype=np.float32)
+    like = both / np.maximum(size[:, None] + size[None, :] - both, 1)
+    got = near_dup.near_duplicates(spark.read.parquet(f"{d}/documents.parquet")).toPandas().set_index("doc_id").class_id
+    ids = np.array([r["doc_id"] for r in rows])
+    left, right = np.nonzero(np.triu(like >= 0.8 - 1e-6, 1))
+    found = (got[ids[left]].to_numpy() == got[ids[right]].to_numpy()).mean()
+    assert len(left) > 50 and found >= 0.99
+    # and no class holds texts that no chain of links joins
+    top = list(range(len(rows)))
+    for i, j in zip(left, right, strict=True):
+        x, y = top[i], top[j]
+        if x != y:
+            top = [min(x, y) if t in (x, y) else t for t in top]
+    texts = {}
+    for i, r in enumerate(rows):
+        texts.setdefault(r["text"] or "", i)
+    chains = [min(top[i], top[texts[r["text"] or ""]]) for i, r in enumerate(rows)]
+    assert pd.Series(chains).groupby(got[ids].to_numpy()).nunique().max() == 1
+
+
 def test_sql_oracles(spark):
     import duckdb
 
