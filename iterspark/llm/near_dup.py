@@ -188,8 +188,9 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
     """Links between classes inside buckets. `members`: (bucket, n, leader, text_id, label).
 
     Distance (1 - likeness) is a metric, so two texts whose distances to the leader
-    differ by more than 1 - `least` are no link. Texts are sorted into cells of that
-    distance, cells are cut into blocks, and only cells near enough meet.
+    differ by more than 1 - `least` are no link. Texts are counted by cells of that
+    distance; those that no other text is near enough to are left out. The others are
+    dealt to blocks by hash, and blocks of texts outside the largest class meet all blocks.
     """
     spark, reach = members.sparkSession, math.floor((1 - least) * _CELLS + 1e-9) + 1
     by_label = members.groupBy("bucket", "label").agg(F.count("*").alias("n"))
@@ -201,23 +202,30 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
     near = stars.select(F.col("a").alias("leader"), F.col("b").alias("text_id"), "like")
     cell = F.floor((1 - F.coalesce("like", F.lit(1.0))) * _CELLS).cast("int")
     rows = joined_by_key(members, main, "bucket", "size", total).join(near, ["leader", "text_id"], "left")
-    rows = cut(rows.select("bucket", "size", "text_id", "label", (F.col("label") != F.col("main")).alias("outside"), cell.alias("cell")))
+    rows = parked(rows.select("bucket", "size", "text_id", "label", (F.col("label") != F.col("main")).alias("outside"), cell.alias("cell")), "inside")
     counts = rows.groupBy("bucket", "cell").agg(F.count("*").alias("n"), F.count_if("outside").alias("o"), F.first("size").alias("size"))
-    cells = counts.groupBy("bucket").agg(F.first("size").alias("size"), F.collect_list(F.struct("cell", F.ceil(F.col("n") / block).cast("int").alias("nb"), F.ceil(F.col("o") / block).cast("int").alias("ob"))).alias("cells"))
-    rows = joined_by_key(rows.drop("size"), cells, "bucket", "size", total)
-    close = F.filter("cells", lambda c: F.abs(c["cell"] - F.col("cell")) <= reach)
-    own = lambda n: F.element_at(F.filter("cells", lambda c: c["cell"] == F.col("cell")), 1)[n]
-
-    def side(kept: DataFrame, own_blocks: str, other_blocks: str, outside: bool) -> DataFrame:
-        others = F.flatten(F.transform(close, lambda c: F.when(c[other_blocks] > 0, F.transform(F.sequence(F.lit(0), c[other_blocks] - 1), lambda i: F.struct(c["cell"].alias("cell"), i.alias("block")))).otherwise(F.array().cast("array<struct<cell:int,block:int>>"))))
-        mine = F.struct("cell", F.pmod(F.xxhash64("text_id"), own(own_blocks)).cast("int").alias("block"))
-        spread = kept.select("bucket", "text_id", "label", mine.alias("mine"), others.alias("others")).withColumn("salts", _salts(F.size("others"), spark))
-        each = spread.select("bucket", "text_id", "label", "salts", "mine", F.explode("others").alias("other"))
-        pair = (F.col("mine").alias("out"), F.col("other").alias("all")) if outside else (F.col("other").alias("out"), F.col("mine").alias("all"))
-        return each.select("bucket", *pair, F.lit(outside).alias("outside"), "text_id", "label", "salts", F.pmod(F.xxhash64("other"), F.col("salts")).cast("int").alias("salt"))
-
-    dealt = side(rows.filter("outside"), "ob", "nb", True).union(side(rows, "nb", "ob", False))
-    dealt = dealt.join(_salted(bags, dealt.select("text_id", "salts")), ["text_id", "salt"]).select("bucket", "out", "all", "outside", "text_id", "label", "bag")
+    cells = counts.groupBy("bucket").agg(F.first("size").alias("size"), F.collect_list(F.struct("cell", "n", "o")).alias("cells"))
+
+    def others(c: Column, count: str, within: str = "cells") -> Column:
+        """Whether a cell within reach of `c` holds a text other than one in `c` itself."""
+        return F.exists(within, lambda x: (F.abs(x["cell"] - c) <= reach) & (x[count] > F.when(x["cell"] == c, 1).otherwise(0)))
+
+    # texts outside the largest class that some text is near, then texts that some of these are near
+    live = F.filter("cells", lambda x: (x["o"] > 0) & others(x["cell"], "n"))
+    met = F.filter("cells", lambda x: F.exists("live", lambda y: F.abs(y["cell"] - x["cell"]) <= reach))
+    count = lambda column, field: F.ceil(F.aggregate(column, F.lit(0).cast("long"), lambda s, x: s + x[field]) / block).cast("int")
+    cells = cells.withColumn("live", live).filter(F.size("live") > 0).withColumn("met", met).withColumn("ob", count("live", "o")).withColumn("nb", count("met", "n"))
+    rows = joined_by_key(rows.drop("size"), parked(cells, "cells"), "bucket", "size", total)
+    holds = lambda column: F.exists(column, lambda x: x["cell"] == F.col("cell"))
+
+    def side(kept: DataFrame, mine: str, other: str, outside: bool) -> DataFrame:
+        spread = kept.select("bucket", "text_id", "label", F.pmod(F.xxhash64("text_id"), F.col(mine)).cast("int").alias("own"), F.col(other).alias("blocks"), _salts(F.col(other), spark).alias("salts"))
+        each = spread.select("bucket", "text_id", "label", "salts", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+        pair = (F.col("own").alias("o"), F.col("other").alias("m")) if outside else (F.col("other").alias("o"), F.col("own").alias("m"))
+        return each.select("bucket", *pair, F.lit(outside).alias("outside"), "text_id", "label", "salts", F.pmod(F.xxhash64("bucket", "other"), F.col("salts")).cast("int").alias("salt"))
+
+    dealt = side(rows.filter(F.col("outside") & holds("live")), "ob", "nb", True).union(side(rows.filter(holds("met")), "nb", "ob", False))
+    dealt = dealt.join(_salted(bags, dealt.select("text_id", "salts")), ["text_id", "salt"]).select("bucket", "o", "m", "outside", "text_id", "label", "bag")
 
     def run(table: pa.Table) -> pa.Table:
         side = np.array(table.column("outside").to_pylist(), dtype=bool)
@@ -246,7 +254,7 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
         tidy()
         return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
-    return dealt.groupBy("bucket", "out", "all").applyInArrow(run, "a binary, b binary")
+    return dealt.groupBy("bucket", "o", "m").applyInArrow(run, "a binary, b binary")
 
 
 def _identified(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
