@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -63,17 +64,38 @@ def _note(path: str) -> str:
     return path
 
 
+def _checkpoint_file(df: DataFrame) -> str | None:
+    plan = df._jdf.queryExecution().logical()
+    file = plan.rdd().getCheckpointFile() if plan.getClass().getSimpleName() == "LogicalRDD" else None
+    return file.get() if file is not None and file.isDefined() else None
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write `df` to the shared folder and return it without its lineage."""
     shared_folder(df.sparkSession)
     out = df.checkpoint(eager=True)
-    if _open:
-        file = out._jdf.queryExecution().logical().rdd().getCheckpointFile()
-        if file.isDefined():
-            _note(file.get())
+    if _open and (file := _checkpoint_file(out)):
+        _note(file)
     return out
 
 
+def discard(*used: DataFrame) -> None:
+    """Remove what `cut` wrote for tables that nothing needs any more, and let Spark drop the shuffle files of finished steps.
+
+    Spark drops them when the driver's garbage is collected, which a long run of small jobs may not come to.
+    """
+    spark = used[0].sparkSession
+    for df in used:
+        if file := _checkpoint_file(df):
+            remove(spark, file)
+    release(spark)
+
+
+def release(spark: SparkSession) -> None:
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def fresh_path(spark: SparkSession, label: str) -> str:
     """A new folder below the shared one."""
     return _note(f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}")
@@ -86,14 +108,18 @@ def parked(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def joined_by_key(rows: DataFrame, facts: DataFrame, key: str, n: str, total: int, most: int = MOST_HOT) -> DataFrame:
+def joined_by_key(rows: DataFrame, facts: DataFrame, key: str, n: str, total: int, heaviest: int | None = None, most: int = MOST_HOT) -> DataFrame:
     """`rows` with the columns of `facts`, which has one row for each key; keys without facts are left out.
 
     `n` is a column of `facts`, at least the number of `rows` with the key; `total` the sum of `n`. Keys
     with more than a `most`-th of that, of which there are fewer than `most`, go by broadcast, so no task
-    holds all rows of a hot key; the others go by shuffle.
+    holds all rows of a hot key; the others go by shuffle. `heaviest`: the greatest `n`, where it
+    is known; if that is not hot, all go by shuffle.
     """
-    often = F.col(n) > max(total / most, 64)
+    limit = max(total / most, 64)
+    if heaviest is not None and heaviest <= limit:
+        return rows.join(facts, key)
+    often = F.col(n) > limit
     hot, rare = F.broadcast(facts.filter(often)), facts.filter(~often)
     return rows.join(hot, key).unionByName(rows.join(hot.select(key), key, "left_anti").join(rare, key))
 

@@ -5,11 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import cut, joined_by_key
+from iterspark.llm.common import cut, discard, joined_by_key
 
 
-def _mark(edges: DataFrame) -> tuple:
-    return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+def _counts(edges: DataFrame) -> tuple[int, int, int, int]:
+    """Rows, the most rows that share an `a` and that share a `b`, and nodes that are both; counted with a map-side combine."""
+    ends = F.array(F.struct(F.col("a").alias("node"), F.lit(1).alias("as_a")), F.struct(F.col("b").alias("node"), F.lit(0).alias("as_a")))
+    by_node = edges.select(F.explode(ends).alias("e")).groupBy("e.node").agg(F.sum("e.as_a").alias("x"), F.sum(1 - F.col("e.as_a")).alias("y"))
+    return tuple(by_node.agg(*[F.coalesce(c, F.lit(0)) for c in (F.sum("x"), F.max("x"), F.max("y"), F.count_if((F.col("x") > 0) & (F.col("y") > 0)))]).first())
 
 
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -22,19 +25,19 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     """
     pairs = edges.select("a", "b").filter("a <> b")
     now = cut(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    mark = _mark(now)
     for _ in range(most_rounds):
-        both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        rows, most_a, most_b, inner = _counts(now)
+        if most_a <= 1 and not inner:  # every node hangs on one that hangs on none
+            break
+        turned = F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"))))
+        both = now.select(turned.alias("e")).select("e.a", "e.b")
         least = both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("m"), F.count("*").alias("n"))
-        hung = joined_by_key(both.filter("b > a"), least, "a", "n", 2 * mark[0])
+        hung = joined_by_key(now.select(F.col("b").alias("a"), F.col("a").alias("b")), least, "a", "n", 2 * rows, most_b)
         large = hung.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         low = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
-        small = joined_by_key(large, low, "a", "n", mark[0])
-        now = cut(small.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").union(low.select("a", F.col("m").alias("b"))).distinct())
-        new = _mark(now)
-        if new == mark:
-            break
-        mark = new
+        small = joined_by_key(large, low, "a", "n", rows, most_a)
+        former, now = now, cut(small.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").union(low.select("a", F.col("m").alias("b"))).distinct())
+        discard(former)
     else:
         raise RuntimeError("components did not settle")
     # settled, every node but the labels has just one row

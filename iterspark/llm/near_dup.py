@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from iterspark.llm.common import cut, joined_by_key, parked, short_batches
+from iterspark.llm.common import cut, joined_by_key, parked, release, short_batches
 from iterspark.llm.components import components
 from iterspark.llm.textvec import blocks, counted, mix, shingles, tidy, unit, words
 
@@ -185,7 +185,7 @@ def _common(left: list[np.ndarray], right: list[np.ndarray], chunk: int = 4096)
 
 
 def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least: float, block: int) -> DataFrame:
-    """Links between classes inside buckets. `members`: (bucket, n, leader, text_id, label).
+    """Links (a, b) between labels of classes inside buckets. `members`: (bucket, n, leader, text_id, label).
 
     Distance (1 - likeness) is a metric, so two texts whose distances to the leader
     differ by more than 1 - `least` are no link. Texts are counted by cells of that
@@ -196,12 +196,12 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
     by_label = members.groupBy("bucket", "label").agg(F.count("*").alias("n"))
     main = by_label.groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m"), F.sum("n").alias("size"), F.count("*").alias("labels")).filter("labels > 1 and size > 2")
     main = cut(main.select("bucket", F.col("m.label").alias("main"), "size"))
-    total = main.agg(F.sum("size")).first()[0]
+    total, largest = main.agg(F.sum("size"), F.max("size")).first()
     if not total:
         return spark.createDataFrame([], "a binary, b binary")
     near = stars.select(F.col("a").alias("leader"), F.col("b").alias("text_id"), "like")
     cell = F.floor((1 - F.coalesce("like", F.lit(1.0))) * _CELLS).cast("int")
-    rows = joined_by_key(members, main, "bucket", "size", total).join(near, ["leader", "text_id"], "left")
+    rows = joined_by_key(members, main, "bucket", "size", total, largest).join(near, ["leader", "text_id"], "left")
     rows = parked(rows.select("bucket", "size", "text_id", "label", (F.col("label") != F.col("main")).alias("outside"), cell.alias("cell")), "inside")
     counts = rows.groupBy("bucket", "cell").agg(F.count("*").alias("n"), F.count_if("outside").alias("o"), F.first("size").alias("size"))
     cells = counts.groupBy("bucket").agg(F.first("size").alias("size"), F.collect_list(F.struct("cell", "n", "o")).alias("cells"))
@@ -215,7 +215,7 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
     met = F.filter("cells", lambda x: F.exists("live", lambda y: F.abs(y["cell"] - x["cell"]) <= reach))
     count = lambda column, field: F.ceil(F.aggregate(column, F.lit(0).cast("long"), lambda s, x: s + x[field]) / block).cast("int")
     cells = cells.withColumn("live", live).filter(F.size("live") > 0).withColumn("met", met).withColumn("ob", count("live", "o")).withColumn("nb", count("met", "n"))
-    rows = joined_by_key(rows.drop("size"), parked(cells, "cells"), "bucket", "size", total)
+    rows = joined_by_key(rows.drop("size"), parked(cells, "cells"), "bucket", "size", total, largest)
     holds = lambda column: F.exists(column, lambda x: x["cell"] == F.col("cell"))
 
     def side(kept: DataFrame, mine: str, other: str, outside: bool) -> DataFrame:
@@ -225,11 +225,11 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
         return each.select("bucket", *pair, F.lit(outside).alias("outside"), "text_id", "label", "salts", F.pmod(F.xxhash64("bucket", "other"), F.col("salts")).cast("int").alias("salt"))
 
     dealt = side(rows.filter(F.col("outside") & holds("live")), "ob", "nb", True).union(side(rows.filter(holds("met")), "nb", "ob", False))
-    dealt = dealt.join(_salted(bags, dealt.select("text_id", "salts")), ["text_id", "salt"]).select("bucket", "o", "m", "outside", "text_id", "label", "bag")
+    dealt = dealt.join(_salted(bags, dealt.select("text_id", "salts")), ["text_id", "salt"]).select("bucket", "o", "m", "outside", "label", "bag")
 
     def run(table: pa.Table) -> pa.Table:
         side = np.array(table.column("outside").to_pylist(), dtype=bool)
-        ids, labels = table.column("text_id").to_pylist(), table.column("label").to_pylist()
+        labels = table.column("label").to_pylist()
         bags_ = [np.frombuffer(x, np.uint32) for x in table.column("bag").to_pylist()]
         left, right = np.flatnonzero(side), np.flatnonzero(~side)
         a: list[bytes] = []
@@ -249,8 +249,8 @@ def _verify_blocks(members: DataFrame, stars: DataFrame, bags: DataFrame, least:
                 p, q = top(labels[left[i]]), top(labels[right[j]])
                 if p != q:
                     joined[p] = q
-                    a.append(ids[left[i]])
-                    b.append(ids[right[j]])
+                    a.append(labels[left[i]])
+                    b.append(labels[right[j]])
         tidy()
         return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
@@ -274,32 +274,36 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     least_row = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")).alias("first")
     texts = signed.groupBy("text_id").agg(least_row, F.count("*").alias("copies"), F.any_value("keys").alias("keys"))
     texts = parked(texts.select("text_id", F.col("first.doc_id").alias("first_id"), F.col("first.row").alias("first_row"), "copies", "keys"), "texts")
-    n_texts, n_rows = texts.agg(F.count("*"), F.sum("copies")).first()
-    n_rows = n_rows or 0
+    n_texts, n_rows, most_copies = texts.agg(F.count("*"), F.coalesce(F.sum("copies"), F.lit(0)), F.coalesce(F.max("copies"), F.lit(0))).first()
     # a key holds its band's number, so keys of two bands are not alike
     keyed = texts.select("text_id", F.explode("keys").alias("bucket"))
     member_of = F.xxhash64(F.lit(5), "text_id").cast("decimal(20,0)")
     buckets = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.min("text_id").alias("leader"), F.sum(member_of).alias("who")).filter("n > 1")
     # bands often make the same bucket again; one of them is enough
     buckets = cut(buckets.groupBy("n", "leader", "who").agg(F.min("bucket").alias("bucket")).select("bucket", "leader", "n"))
-    n_members = buckets.agg(F.sum("n")).first()[0] or 0
-    members = parked(joined_by_key(keyed, buckets, "bucket", "n", n_members).select("bucket", "n", "leader", "text_id"), "members")
+    n_members, largest = buckets.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.max("n"), F.lit(0))).first()
+    members = parked(joined_by_key(keyed, buckets, "bucket", "n", n_members, largest).select("bucket", "n", "leader", "text_id"), "members")
     wanted = members.select("text_id").distinct().join(texts.select("text_id", "first_id", "copies"), "text_id")
-    of_first = joined_by_key(found.withColumn("_k", _row_key(F.col("text_id"), F.col("doc_id"))), wanted.select(_row_key(F.col("text_id"), F.col("first_id")).alias("_k"), "copies"), "_k", "copies", n_rows)
+    of_first = joined_by_key(found.withColumn("_k", _row_key(F.col("text_id"), F.col("doc_id"))), wanted.select(_row_key(F.col("text_id"), F.col("first_id")).alias("_k"), "copies"), "_k", "copies", n_rows, most_copies)
     bags = parked(shingle_table(of_first, size).dropDuplicates(["text_id"]), "bags")
+    release(docs.sparkSession)
     stars = parked(_star_likeness(members, bags), "stars")
     links = stars.filter(F.col("like") >= least).select("a", "b")
     labels = cut(components(links))
     inside = members.filter("n > 2").join(labels, members["text_id"] == labels["node"], "left").select("bucket", "n", "leader", "text_id", F.coalesce("label", "text_id").alias("label"))
     more = cut(_verify_blocks(inside, stars, bags, least, block))
-    if not more.isEmpty():
-        labels = cut(components(links.union(more)))
-    classes = parked(texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "first_row", "copies", F.coalesce("label", "text_id").alias("label")), "classes")
+    release(docs.sparkSession)
+    classes = texts.join(labels, texts["text_id"] == labels["node"], "left").select("text_id", "first_id", "first_row", "copies", F.coalesce("label", "text_id").alias("label"))
+    if not more.isEmpty():  # links between labels; the least label of a component is its least text, too
+        tops = components(more).select(F.col("node").alias("label"), F.col("label").alias("top"))
+        sizes = parked(classes.groupBy("label").agg(F.count("*").alias("texts")).join(tops, "label", "left"), "tops")
+        classes = joined_by_key(parked(classes, "classes"), sizes, "label", "texts", n_texts).select("text_id", "first_id", "first_row", "copies", F.coalesce("top", "label").alias("label"))
+    classes = parked(classes, "classes")
     least_text = F.min(F.struct(F.col("first_id").isNull().alias("none"), "first_id", "text_id", "first_row")).alias("first")
     whole = classes.groupBy("label").agg(least_text, F.sum("copies").alias("class_size"), F.count("*").alias("texts"))
     whole = whole.select("label", F.col("first.first_id").alias("class_id"), F.col("first.first_row").alias("kept_row"), "class_size", "texts")
     of_text = parked(joined_by_key(classes.select("text_id", "copies", "label"), whole, "label", "texts", n_texts).drop("texts"), "of_text")
-    out = joined_by_key(signed.select("doc_id", "text_id", "row"), of_text, "text_id", "copies", n_rows)
+    out = joined_by_key(signed.select("doc_id", "text_id", "row"), of_text, "text_id", "copies", n_rows, most_copies)
     return out.select("doc_id", "class_id", "class_size", "text_id", "label", (F.col("row") == F.col("kept_row")).alias("kept"))
 
 
@@ -308,6 +312,6 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     short_batches(spark or docs.sparkSession)
     found = near_duplicates(docs).filter("kept")
     keep = parked(found.select(_row_key(F.col("text_id"), F.col("doc_id")).alias("_k"), "class_size"), "kept")
-    rows = keep.agg(F.sum("class_size")).first()[0] or 0
+    rows, largest = keep.agg(F.coalesce(F.sum("class_size"), F.lit(0)), F.coalesce(F.max("class_size"), F.lit(0))).first()
     own = docs.select(F.struct("*").alias("_row"), _row_key(F.unhex(F.md5(F.coalesce("text", F.lit("")))), F.col("doc_id").cast("long")).alias("_k"))
-    return joined_by_key(own, keep, "_k", "class_size", rows).dropDuplicates(["_k"]).select("_row.*")
+    return joined_by_key(own, keep, "_k", "class_size", rows, largest).dropDuplicates(["_k"]).select("_row.*")
