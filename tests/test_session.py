@@ -163,3 +163,39 @@ def test_one_more_grid_point_reuses_the_others(spark, tmp_path):
     assert more.states["model_0.001"] == "compute"
     assert {more.states[f"model_{r}"] for r in (0.1, 0.01)} == {"prune"} and more.states["rows"] != "compute"
     assert s.run(library_parity(D, 2)).states["model_0.001"] == "prune"
+
+
+def test_a_new_session_knows_the_last_graph(spark, tmp_path):
+    Session(spark, str(tmp_path), Policy.keep_all()).run(steps(2))
+    s = Session(spark, str(tmp_path), Policy.keep_all())
+    res = s.run(steps(2, 500.0))
+    assert res.status["rows"] == "modified" and res.status["by"] == "inherited" and res.status["data"] == "unchanged"
+    assert sorted(x.node for x in s.store.live.values()) == ["by", "out", "rows"]  # the old ones are purged
+    dump = str(tmp_path / "d")
+    Session(spark, dump, Policy.dump_rerun()).run(steps(2))
+    assert Session(spark, dump, Policy.dump_rerun()).run(steps(2, 9.0)).record["n_compute"] == 4
+
+
+def test_dump_rerun_writes_each_time_and_outputs_are_outside_the_budget(spark, tmp_path):
+    s = Session(spark, str(tmp_path / "a"), Policy.dump_rerun())
+    first = s.run(steps(2))
+    again = s.run(steps(2))
+    assert sorted(first.kept) == sorted(again.kept) == ["by", "out", "rows"]
+    tight = Session(spark, str(tmp_path / "b"), Policy.optimal(budget_bytes=1))
+    assert tight.run(steps(2)).kept == ["out"] and tight.store.used == 0 < tight.store.output_bytes
+    assert tight.run(steps(2)).states["out"] == "load"
+
+
+def test_extractors_belong_to_their_record_sets():
+    wf = Workflow("two")
+    data = wf.source("data", "p")
+    a, b = (wf.scan(data, lambda d: d, n) for n in ("a", "b"))
+    wf.extractor("x", "1", rows=a)
+    wf.extractor("y", "2", rows=b)
+    wf.examples(a, "ea")
+    wf.examples(b, "eb")
+    dag = wf.compile()
+    assert dag.nodes["ea"].parents == ("a", "x") and dag.nodes["eb"].parents == ("b", "y")
+    wf.extractor("z", "3")
+    with pytest.raises(ValueError):
+        wf.examples(b, "ec")
