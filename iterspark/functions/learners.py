@@ -78,12 +78,30 @@ def grid_search(fit, score, grid: dict[str, list]) -> list[tuple[dict, float]]:
     return sorted(((p, score(fit(**p))) for p in points), key=lambda x: -x[1])
 
 
+#: Bytes of input that one task of a learner takes.
+TASK_BYTES = 128 << 20
+
+
+def tasks_for(df: DataFrame, least: int = 1) -> int:
+    """Tasks for a frame by Catalyst's estimate of its size, so that they grow with the input and not with the machine."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(least, min(-(-size // TASK_BYTES), 100_000))
+
+
+def dealt(df: DataFrame, column: str, least: int = 8) -> DataFrame:
+    """A deal of the rows that follows from their values, so that a reloaded input gives the same result."""
+    return df.repartition(tasks_for(df, least), F.xxhash64(column)).sortWithinPartitions(column)
+
+
 def word_vectors(docs: DataFrame, tokens: str, size: int = 32, window: int = 5, min_count: int = 5, iters: int = 1, seed: int = 7) -> DataFrame:
-    """(word, vector) by Spark's skip-gram. Vocabulary times size sits on the driver: raise `min_count` with the corpus."""
+    """(word, vector) by Spark's skip-gram. Vocabulary times size sits on the driver: raise `min_count` with the corpus.
+
+    Each of its partitions trains by itself and the parts are averaged, so there are as few as the input's size allows.
+    """
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
-    model = Word2Vec(vectorSize=size, windowSize=window, minCount=min_count, maxIter=iters, seed=seed, inputCol=tokens, outputCol="_v", numPartitions=1).fit(docs.repartition(8, F.xxhash64(tokens)).sortWithinPartitions(tokens))
+    model = Word2Vec(vectorSize=size, windowSize=window, minCount=min_count, maxIter=iters, seed=seed, inputCol=tokens, outputCol="_v", numPartitions=tasks_for(docs)).fit(dealt(docs, tokens))
     return model.getVectors().select("word", vector_to_array("vector").alias("vector"))
 
 
@@ -91,6 +109,5 @@ def kmeans(df: DataFrame, vector: str, k: int, seed: int = 7, max_iter: int = 20
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
-    # a fixed deal of the rows, so that a reloaded input gives the same clusters
-    vec = df.repartition(8, F.xxhash64(vector)).sortWithinPartitions(vector).withColumn("_v", array_to_vector(F.col(vector).cast("array<double>")))
+    vec = dealt(df, vector).withColumn("_v", array_to_vector(F.col(vector).cast("array<double>")))
     return KMeans(k=k, seed=seed, maxIter=max_iter, featuresCol="_v", predictionCol="cluster").fit(vec).transform(vec).drop("_v")

@@ -65,11 +65,13 @@ def mentions(sents: DataFrame, key: list[str], least: int = 8) -> DataFrame:
 def candidate_pairs(m: DataFrame, key: list[str]) -> DataFrame:
     """Distinct word pairs that share a sentence, with the sentences they share and their least distance.
 
-    Pairs are made inside each sentence's list of words, not by a self-join.
+    Pairs are made inside each sentence's list of words, not by a self-join: the list's
+    words are rows of their own first, so that no cell holds all pairs of a long sentence.
     """
     lists = m.groupBy(*key, "sent_no").agg(F.array_sort(F.collect_list(F.struct("word", "pos"))).alias("ws"))
-    pairs = F.explode(F.flatten(F.transform("ws", lambda a, i: F.transform(F.filter("ws", lambda b: b["word"] > a["word"]), lambda b: F.struct(a["word"].alias("word_a"), b["word"].alias("word_b"), F.abs(a["pos"] - b["pos"]).alias("gap"))))))
-    one = lists.select(*key, "sent_no", pairs.alias("p")).groupBy(*key, "sent_no", "p.word_a", "p.word_b").agg(F.min("p.gap").alias("gap"))
+    left = lists.select(*key, "sent_no", "ws", F.explode("ws").alias("a"))
+    later = F.transform(F.filter("ws", lambda b: b["word"] > F.col("a.word")), lambda b: F.struct(F.col("a.word").alias("word_a"), b["word"].alias("word_b"), F.abs(F.col("a.pos") - b["pos"]).alias("gap")))
+    one = left.select(*key, "sent_no", F.explode(later).alias("p")).groupBy(*key, "sent_no", "p.word_a", "p.word_b").agg(F.min("p.gap").alias("gap"))
     return one.groupBy("word_a", "word_b").agg(F.count("*").alias("n_sentences"), F.min("gap").alias("least_gap"))
 
 

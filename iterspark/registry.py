@@ -30,6 +30,10 @@ def t(spark: SparkSession, d: str, name: str) -> DataFrame:
 
 
 def work_folder(spark: SparkSession) -> str:
-    """A new folder in the place that driver and executors share."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="iterspark-")
+    """A new folder in the place that driver and executors share; a local master, whose executors are the driver, may go without."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = tempfile.mkdtemp(prefix="iterspark-")
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
