@@ -20,7 +20,7 @@ WORKLOADS = {
     "digit_vectors": (lambda d, i: digit_vectors.digit_vectors(d, i), len(digit_vectors.EDITS)),
     "library_parity": (lambda d, i: library_parity.library_parity(d, i), len(library_parity.EDITS)),
 }
-POLICIES = {"optimal": Policy.optimal, "one_shot": Policy.one_shot, "keep_all": Policy.keep_all, "keep_none": Policy.keep_none, "dump_rerun": Policy.dump_rerun}
+POLICIES = {"optimal": Policy.optimal, "one_shot": Policy.one_shot, "one_shot_uncached": lambda: Policy.one_shot(False), "keep_all": Policy.keep_all, "keep_none": Policy.keep_none, "dump_rerun": Policy.dump_rerun}
 
 #: Which systems can run which workload as it stands: all edits, prep edits only, or not.
 SUPPORT = {
@@ -90,7 +90,7 @@ def main(arguments: list[str] | None = None) -> None:
     spark = (builder.master(a.master) if a.master else builder).getOrCreate()
     got = run(spark, a.folder, a.workload, a.policy, a.iterations, limit_s=a.limit)
     versions = [round(r["wall_s"], 2) for r in got["records"]]
-    print(json.dumps({k: got[k] for k in ("workload", "policy", "finished", "peak_bytes")} | {"tasks": spark.sparkContext.defaultParallelism, "seconds": round(got["seconds"], 2), "versions": versions}))
+    print(json.dumps({k: got[k] for k in ("workload", "policy", "finished", "peak_bytes", "average_bytes")} | {k: sum(r[k] for r in got["records"]) for k in ("n_prune", "n_load", "n_compute")} | {"materialize_s": round(sum(r["materialize_s"] for r in got["records"]), 2), "store_bytes": [r["store_bytes"] for r in got["records"]]} | {"tasks": spark.sparkContext.defaultParallelism, "seconds": round(got["seconds"], 2), "versions": versions}))
 
 
 if __name__ == "__main__":

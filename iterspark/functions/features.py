@@ -11,6 +11,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+#: A vocabulary becomes part of an expression; larger ones are an error, never cut.
+MOST_WORDS = 100_000
+
+
 @dataclass(frozen=True)
 class FeatureState:
     """stat: range, mean, deviation, quantiles (n parts) or vocabulary."""
@@ -49,7 +53,10 @@ def fit_features(df: DataFrame, specs: dict[str, FeatureState], fused: bool = Tr
     for g in groups:
         if g:
             pairs = F.explode(F.array(*[F.struct(F.lit(n).alias("feature"), F.col(s.column).cast("string").alias("value")) for n, s in g.items()]))
-            rows = df.select(pairs.alias("p")).select("p.*").filter("value is not null").groupBy("feature", "value").count().collect()
+            words = df.select(pairs.alias("p")).select("p.*").filter("value is not null").distinct()
+            rows = words.limit(MOST_WORDS + 1).collect()
+            if len(rows) > MOST_WORDS:
+                raise ValueError(f"over {MOST_WORDS} values in the vocabularies of {sorted(g)}: hash the column, or join a table of indices")
             for n in g:
                 out[n] = sorted(r["value"] for r in rows if r["feature"] == n)
     return out
@@ -122,6 +129,26 @@ def prune_by_weight(rows: list[tuple[int, str, float]], eps: float = 0.0) -> lis
     return sorted(n for n, w in most.items() if w <= eps)
 
 
+def prune_model(model: dict, eps: float = 0.0) -> dict:
+    """A linear model (layout, weights, bias) without the extractors of which no slot weighs more than `eps`."""
+    gone = set(prune_by_weight(lineage(model["layout"], model["weights"]), eps))
+    left = [(n, w) for n, w in zip(model["layout"], model["weights"], strict=True) if n not in gone]
+    return model | {"layout": [n for n, _ in left], "weights": [w for _, w in left]}
+
+
+def compared_scores(a: DataFrame, b: DataFrame, key: str, score: str) -> DataFrame:
+    """(n, same): rows of `a`, and those that `b` has with an equal key and score, repeats and nulls counted. 1 - same / n is what pruning changes."""
+    side = lambda df, in_a: df.select(key, score, F.lit(in_a).alias("_a"), F.lit(1 - in_a).alias("_b"))
+    counts = side(a, 1).unionByName(side(b, 0)).groupBy(key, score).agg(F.sum("_a").alias("_a"), F.sum("_b").alias("_b"))
+    zero = F.lit(0).cast("long")
+    return counts.agg(F.coalesce(F.sum("_a"), zero).alias("n"), F.coalesce(F.sum(F.least("_a", "_b")), zero).alias("same"))
+
+
+def flat_image(column: str) -> Column:
+    """An image, an array of rows, as one array in order of rows; null where the image or a row is null."""
+    return F.flatten(column)
+
+
 def random_cosine(df: DataFrame, column: str, dims: int, seed: int | None, name: str = "projected") -> DataFrame:
     """cos(w . x + b) for `dims` random (w, b); without a seed the result differs each time."""
     width = len(df.select(column).first()[0])

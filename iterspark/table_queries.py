@@ -12,7 +12,7 @@ from iterspark.operators import relational as R
 from iterspark.plans.session import Policy, Session
 from iterspark.registry import Registry, t, work_folder
 from iterspark.streaming import minibatch
-from iterspark.workloads import digit_vectors, entity_clusters, pair_extraction, price_class, stream_features
+from iterspark.workloads import digit_vectors, entity_clusters, lean_scoring, pair_extraction, price_class, stream_features
 
 _registry = Registry()
 query = _registry.query
@@ -119,6 +119,27 @@ def zero_weight_prune(spark, d):
     return spark.createDataFrame([(n,) for n in X.prune_by_weight(_slopes(spark, d))], "extractor string")
 
 
+@query("SELECT count(*) AS n, count(*) AS same, true AS pruned, true AS sliced FROM lineitem")
+def zero_weight_inference(spark, d):
+    """All rows scored with a model whose zero weights were learned, by all its features and by those that weigh something."""
+    session = Session(spark, work_folder(spark), Policy.keep_none())
+    path = f"{d}/lineitem.parquet"
+    model = session.run(lean_scoring.training(path)).outputs["model"]
+    whole, lean = (lean_scoring.scoring(path, model, least) for least in (None, 0.0))
+    a, b = (session.run(wf).outputs["scores"].select("key", F.round("probability", 9).alias("p")) for wf in (whole, lean))
+    dropped = X.prune_by_weight(X.lineage(model["layout"], model["weights"]))
+    sliced = not set(dropped) & set(lean.compile().slice().nodes)
+    return X.compared_scores(a, b, "key", "p").select("n", "same", F.lit(len(dropped) > 0).alias("pruned"), F.lit(sliced).alias("sliced"))
+
+
+@query("SELECT vec_id, len(embedding) AS width, round(CAST(embedding[10] AS DOUBLE), 4) AS second_row FROM embeddings")
+def image_flatten(spark, d):
+    """Vectors laid out as images of eight columns, and back."""
+    e = t(spark, d, "embeddings").withColumn("image", F.expr("transform(sequence(0, size(embedding) div 8 - 1), i -> slice(embedding, i * 8 + 1, 8))"))
+    flat = X.flat_image("image")
+    return e.select("vec_id", F.size(flat).alias("width"), F.round(flat[9].cast("double"), 4).alias("second_row"))
+
+
 @query("SELECT count(*) AS chosen FROM (VALUES ('price'), ('qty'), ('disc'), ('flag')) f(name) WHERE name NOT IN ('disc')")
 def feature_exclusion(spark, d):
     from iterspark.plans.session import Workflow
@@ -234,10 +255,10 @@ def cooccurrence_embedding_documents(spark, d):
 
 
 @query("""WITH k AS (SELECT toxic, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS token FROM documents JOIN labels USING (doc_id)), c AS (SELECT token, sum(CASE WHEN toxic = 1 THEN 1 ELSE 0 END) AS n1, sum(CASE WHEN toxic = 0 THEN 1 ELSE 0 END) AS n0 FROM k GROUP BY 1), w AS (SELECT sum(n1) AS t1, sum(n0) AS t0, count(*) AS v FROM c)
-SELECT token, CAST(n0 AS BIGINT) AS n0, CAST(n1 AS BIGINT) AS n1, round(ln((n1 + 1.0::DOUBLE) / (t1 + v)) - ln((n0 + 1.0::DOUBLE) / (t0 + v)), 5) AS log_odds FROM c, w WHERE n0 + n1 >= 5""")
+SELECT token, CAST(n0 AS BIGINT) AS n0, CAST(n1 AS BIGINT) AS n1, round(ln((n1 + 1.0::DOUBLE) / (t1 + v)) - ln((n0 + 1.0::DOUBLE) / (t0 + v)), 5) AS log_odds FROM c, w""")
 def naive_bayes_odds(spark, d):
     toks = R.tokens(t(spark, d, "documents").join(t(spark, d, "labels"), "doc_id"), ["doc_id", "toxic"])
-    return L.naive_bayes(toks, "token", "toxic").filter("n0 + n1 >= 5").select("token", "n0", "n1", F.round("log_odds", 5).alias("log_odds"))
+    return L.naive_bayes(toks, "token", "toxic").select("token", "n0", "n1", F.round("log_odds", 5).alias("log_odds"))
 
 
 # pair extraction
@@ -333,10 +354,10 @@ def asof_events(spark, d):
     return R.as_of_join(e.filter("event_type = 'view'"), bought, "user_id", "ts", "value", "last_purchase").select("event_id", "last_purchase")
 
 
-@query("WITH s AS (SELECT o_orderkey AS span, o_totalprice AS low, o_totalprice + 500 AS high FROM orders WHERE o_orderkey % 50 = 0) SELECT span, count(*) AS n FROM orders JOIN s ON o_totalprice >= low AND o_totalprice < high GROUP BY 1")
+@query("WITH s AS (SELECT o_orderkey AS span, o_totalprice AS low, o_totalprice + 500 AS high FROM orders) SELECT span, count(*) AS n FROM orders JOIN s ON o_totalprice >= low AND o_totalprice < high GROUP BY 1")
 def interval_join(spark, d):
     o = t(spark, d, "orders")
-    spans = o.filter("o_orderkey % 50 = 0").select(F.col("o_orderkey").alias("span"), F.col("o_totalprice").alias("low"), (F.col("o_totalprice") + 500).alias("high"))
+    spans = o.select(F.col("o_orderkey").alias("span"), F.col("o_totalprice").alias("low"), (F.col("o_totalprice") + 500).alias("high"))
     return R.interval_join(o.select("o_totalprice"), spans, "o_totalprice", "low", "high", 500.0).groupBy("span").agg(F.count("*").alias("n"))
 
 

@@ -61,7 +61,7 @@ def test_spans_of_all_orders_by_brute_force(spark):
 
 def test_every_order_has_a_span(spark, duck):
     spans = {name for name in SQL if name.startswith("interval_join") and duck.execute(f"SELECT count(*) FROM ({SQL[name]})").fetchone()[0] == duck.execute("SELECT count(DISTINCT o_orderkey) FROM orders").fetchone()[0]}
-    assert spans == {"interval_join_all_spans"}
+    assert spans == {"interval_join", "interval_join_all_spans"}
 
 
 def test_cooccurrence_of_all_documents_by_brute_force(spark, duck):
@@ -172,3 +172,23 @@ def test_an_experiment_prints_a_line(spark, capsys):
     experiments.main([D, "--workload", "digit_vectors", "--policy", "keep_none", "--iterations", "2"])
     line = json.loads(capsys.readouterr().out.strip().splitlines()[-1])
     assert line["finished"] and len(line["versions"]) == 2
+
+
+def test_vocabularies_beyond_the_bound_are_an_error(spark, monkeypatch):
+    rows = spark.createDataFrame([(w,) for w in "abcb"] + [(None,)], "w string")
+    state = {"v": X.FeatureState("w", "vocabulary")}
+    assert X.fit_features(rows, state)["v"] == ["a", "b", "c"]
+    monkeypatch.setattr(X, "MOST_WORDS", 2)
+    with pytest.raises(ValueError, match="over 2 values"):
+        X.fit_features(rows, state)
+
+
+def test_scores_compared_and_images_flattened(spark):
+    a = spark.createDataFrame([(1, 0.5), (2, None), (3, 0.1), (4, 0.2)], "k int, s double")
+    b = spark.createDataFrame([(1, 0.5), (2, None), (3, 0.4)], "k int, s double")
+    assert tuple(X.compared_scores(a, b, "k", "s").first()) == (4, 2)
+    images = spark.createDataFrame([([[1, 2], [3, 4]],), ([],), (None,), ([[1], None],)], "image array<array<int>>")
+    assert [r[0] for r in images.select(X.flat_image("image")).collect()] == [[1, 2, 3, 4], [], None, None]
+    model = {"layout": ["a", "b", "c"], "weights": [0.0, -0.2, 0.01], "bias": 1.0}
+    assert X.prune_model(model) == {"layout": ["b", "c"], "weights": [-0.2, 0.01], "bias": 1.0}
+    assert X.prune_model(model, 0.05)["layout"] == ["b"]

@@ -4,9 +4,11 @@ import time
 import pytest
 from pyspark.sql import functions as F
 
+from iterspark.functions import features as X
 from iterspark.operators import relational as R
 from iterspark.plans.session import Policy, Session, Workflow
 from iterspark.plans.store import MaterializationStore
+from iterspark.workloads import lean_scoring
 from iterspark.workloads.digit_vectors import digit_vectors
 from iterspark.workloads.library_parity import library_parity
 from iterspark.workloads.pair_extraction import known_pairs, pair_extraction
@@ -199,3 +201,22 @@ def test_extractors_belong_to_their_record_sets():
     wf.extractor("z", "3")
     with pytest.raises(ValueError):
         wf.examples(b, "ec")
+
+
+def test_scoring_leaves_out_what_weighs_nothing(spark, tmp_path):
+    path = f"{D}/lineitem.parquet"
+    session = Session(spark, str(tmp_path), Policy.keep_none())
+    model = {"layout": ["x_disc", "x_price", "x_qty"], "weights": [0.0, 0.1, -0.01], "bias": -5.0}
+    full, lean, rough = (session.run(lean_scoring.scoring(path, model, eps)) for eps in (None, 0.0, 0.05))
+    assert "x_disc" in full.states and "x_disc" not in lean.states and "x_qty" in lean.states and "x_qty" not in rough.states
+    n, same = X.compared_scores(full.outputs["scores"], lean.outputs["scores"], "key", "probability").first()
+    assert n == same == spark.read.parquet(path).count()
+    n, same = X.compared_scores(full.outputs["scores"], rough.outputs["scores"], "key", "probability").first()
+    assert same < n
+
+
+def test_training_data_is_cached_only_where_asked(spark, tmp_path):
+    got = [Session(spark, str(tmp_path / str(c)), Policy.one_shot(c)).run(lean_scoring.training(f"{D}/lineitem.parquet")) for c in (True, False)]
+    assert [r.record["policy"] for r in got] == ["one_shot", "one_shot_uncached"]
+    a, b = (r.outputs["model"] for r in got)
+    assert a["layout"] == b["layout"] and a["weights"] == pytest.approx(b["weights"], abs=1e-6)
