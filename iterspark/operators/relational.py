@@ -30,6 +30,30 @@ def interval_join(points: DataFrame, spans: DataFrame, at: str, start: str, end:
     return joined.filter((F.col(at) >= F.col(start)) & (F.col(at) < F.col(end))).drop("_bucket")
 
 
+def interval_counts(points: DataFrame, spans: DataFrame, at: str, start: str, end: str, width: float) -> DataFrame:
+    """(start, end, n): of each distinct span that holds points (start <= at < end), how many; no pair is made.
+
+    Equal points and equal spans are counted once. Both go into buckets of `width`, whose points are counted in
+    order: a span holds the points of its first bucket but those before its start, those of the buckets between,
+    and those of its last bucket before its end. A span without an end is an error.
+    """
+    bucket = lambda c: F.floor(F.nanvl(F.col(c).cast("double") / width, F.lit(float("inf"))))
+    mark = lambda b, place, sign, whole: F.struct(b.alias("b"), place.alias("place"), F.lit(sign).alias("sign"), whole.alias("whole"))
+    first, last = bucket("_start"), bucket("_end")
+    ends = F.array(mark(first, F.col("_start"), -1, last > first), mark(last, F.col("_end"), 1, F.lit(False)))
+    between = F.transform(F.sequence(first + 1, last - 1), lambda b: mark(b, F.col("_end"), 0, F.lit(True)))
+    held = spans.select(F.col(start).alias("_start"), F.col(end).alias("_end")).filter("_start < _end").distinct()
+    marks = held.select("_start", "_end", F.explode(F.when(last > first + 1, F.concat(ends, between)).otherwise(ends)).alias("m"))
+    known = points.filter(F.col(at).isNotNull()).groupBy(F.col(at).alias("place")).agg(F.count("*").alias("n")).withColumn("b", bucket("place"))
+    w = Window.partitionBy("b").orderBy("place", "n")  # a mark, whose n is 0, comes before the points at its place
+    before = F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, 0))
+    inside = F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    rows = marks.select("_start", "_end", "m.*", F.lit(0).cast("long").alias("n")).unionByName(known, allowMissingColumns=True)
+    part = F.col("sign") * before + F.when(F.col("whole"), inside).otherwise(0)
+    parts = rows.select("_start", "_end", "sign", part.alias("n")).filter("sign is not null")
+    return parts.groupBy(F.col("_start").alias(start), F.col("_end").alias(end)).agg(F.sum("n").alias("n")).filter("n > 0")
+
+
 def sessionise(events: DataFrame, by: str, ts: str, gap_s: int, tie: str) -> DataFrame:
     """Adds session_no: a new session after a pause longer than `gap_s`."""
     w = Window.partitionBy(by).orderBy(ts, tie)
