@@ -75,6 +75,12 @@ def tokens(df: DataFrame, key: list[str], text: str = "text") -> DataFrame:
     return df.select(*key, F.posexplode(F.regexp_extract_all(F.lower(text), F.lit(f"({TOKEN})"), 1)).alias("pos", "token"))
 
 
+def token_lists(df: DataFrame, key: list[str], least: int = 1, text: str = "text") -> DataFrame:
+    """(key, ws): each text's tokens of `least` letters or more in order, as one row; texts without any have none."""
+    words = F.regexp_extract_all(F.lower(text), F.lit(f"({TOKEN})"), 1)
+    return df.select(*key, F.filter(words, lambda w: F.length(w) >= least).alias("ws")).filter(F.size("ws") > 0)
+
+
 def sentences(df: DataFrame, key: list[str], text: str = "text") -> DataFrame:
     """(key, sent_no, sentence): parts between full stops and line ends, trimmed, not empty."""
     parts = F.posexplode(F.split(text, r"[.\n]"))
