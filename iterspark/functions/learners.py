@@ -94,15 +94,13 @@ def dealt(df: DataFrame, column: str, least: int = 8) -> DataFrame:
 
 
 def word_vectors(docs: DataFrame, tokens: str, size: int = 32, window: int = 5, min_count: int = 5, iters: int = 1, seed: int = 7) -> DataFrame:
-    """(word, vector) by Spark's skip-gram. Vocabulary times size sits on the driver: raise `min_count` with the corpus.
+    """(word, vector) by a skip-gram with a hierarchical softmax. The vocabulary, without vectors, sits on the driver: raise `min_count` with the corpus.
 
-    Each of its partitions trains by itself and the parts are averaged, so there are as few as the input's size allows.
+    Each of its parts trains by itself and their vectors are averaged, so there are as few as the input's size allows.
     """
-    from pyspark.ml.feature import Word2Vec
-    from pyspark.ml.functions import vector_to_array
+    from iterspark.functions import skip_gram
 
-    model = Word2Vec(vectorSize=size, windowSize=window, minCount=min_count, maxIter=iters, seed=seed, inputCol=tokens, outputCol="_v", numPartitions=tasks_for(docs)).fit(dealt(docs, tokens))
-    return model.getVectors().select("word", vector_to_array("vector").alias("vector"))
+    return skip_gram.fit(docs, tokens, size, window, min_count, iters, seed, tasks_for(docs))
 
 
 def kmeans(df: DataFrame, vector: str, k: int, seed: int = 7, max_iter: int = 20) -> DataFrame:
